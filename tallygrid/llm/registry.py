@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
-from . import mixing, packing, pseudonyms, repetition, sharding
+from . import forest, lines, minhash, mixing, packing, pseudonyms, repetition, sharding
 
 QUERIES = {
+    "op1_random_projection_forest": forest.query,
+    "op2_circulant_minhash": minhash.query,
     "op3_feistel_pseudonyms": pseudonyms.query,
     "op4_source_mixing": mixing.query,
     "op5_label_propagation_sharding": sharding.query,
     "op6_suffix_array_repetition": repetition.query,
+    "op7_line_deletion_neighbourhood": lines.query,
     "op9_vector_best_fit_packing": packing.query,
 }
 

@@ -31,7 +31,7 @@ from pyspark.sql.window import Window
 from .common import sampled, table
 
 TREES, SAMPLE_ROWS, LEAF_SAMPLE, CHUNK_ROWS = 12, 20_000, 100, 4_096
-BREADTH, LEAST_ROWS = 0.75, 2_000
+BREADTH, LEAST_ROWS = 1.0, 5_000
 
 
 @dataclass

@@ -152,7 +152,7 @@ def near_lines(docs: DataFrame, near_words: int = NEAR_WORDS) -> DataFrame:
 def judge(docs: DataFrame, least_words: int = LEAST_WORDS, near_words: int = NEAR_WORDS) -> DataFrame:
     """doc_id, n_lines, n_exact, n_near and dropped, the numbers from 0 of the document's lines that go, in order."""
     near = cut(near_lines(docs, near_words)).withColumn("is_near", F.lit(True))
-    lines = all_lines(docs, least_words)
+    lines = cut(all_lines(docs, least_words))
     first = lines.where("h IS NOT NULL").groupBy("h").agg(F.min(F.struct("doc_id", "line")).alias("first"))
     first = first.join(near, (F.col("first.doc_id") == F.col("doc_id")) & (F.col("first.line") == F.col("line")), "left").select("h", "first", F.coalesce("is_near", F.lit(False)).alias("is_near"))
     judged = lines.join(first, "h", "left").withColumn("exact", F.col("first") < F.struct("doc_id", "line"))

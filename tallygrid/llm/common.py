@@ -9,7 +9,6 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
-from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -25,11 +24,16 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
     return df.select(*columns) if columns else df
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that the cluster names for checkpoints; a temporary one only where none is named, as in tests."""
+    return spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-")
+
+
 def cut(df: DataFrame) -> DataFrame:
     """Write `df` to the shared checkpoint folder and go on from the files, so a lost executor costs no recomputation."""
     context = df.sparkSession.sparkContext
     if context.getCheckpointDir() is None:
-        context.setCheckpointDir(context.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoints-"))
+        context.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint(eager=True)
 
 
@@ -99,7 +103,3 @@ def numbered(df: DataFrame, within: list[str], row: str, name: str, buckets: int
     starts = df.groupBy(*within, "__bucket").agg(F.count("*").alias("__rows")).withColumn("__start", F.coalesce(F.sum("__rows").over(before), F.lit(0)))
     inside = F.row_number().over(Window.partitionBy(*within, "__bucket").orderBy(row)) - 1
     return df.withColumn("__inside", inside).join(starts.drop("__rows"), [*within, "__bucket"]).withColumn(name, (F.col("__start") + F.col("__inside")).cast("long")).drop("__bucket", "__inside", "__start")
-
-
-def stored(df: DataFrame) -> DataFrame:
-    return df.persist(StorageLevel.DISK_ONLY)

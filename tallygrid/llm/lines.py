@@ -166,11 +166,14 @@ def judge(docs: DataFrame, least_words: int = LEAST_WORDS, near_words: int = NEA
 
 
 def deduplicate(docs: DataFrame) -> DataFrame:
-    """`docs`, all columns, without dropped lines; a document that loses all its lines with words goes."""
+    """`docs`, all columns, without dropped lines, a column n_chars following the text; a document that loses all its lines with words goes."""
     verdicts = judge(docs).where(F.size("dropped") > 0).select(F.col("doc_id").alias("__id"), "dropped", "n_lines")
     joined = docs.join(verdicts, F.col("doc_id").cast("long") == F.col("__id"), "left").where(F.col("dropped").isNull() | (F.size("dropped") < F.col("n_lines")))
     kept = F.array_join(F.filter(F.split("text", "\n", -1), lambda x, i: ~F.array_contains(F.col("dropped"), i)), "\n")
-    return joined.withColumn("text", F.when(F.col("dropped").isNull(), F.col("text")).otherwise(kept)).select(*docs.columns)
+    joined = joined.withColumn("text", F.when(F.col("dropped").isNull(), F.col("text")).otherwise(kept))
+    if "n_chars" in docs.columns:
+        joined = joined.withColumn("n_chars", F.when(F.col("dropped").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
+    return joined.select(*docs.columns)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

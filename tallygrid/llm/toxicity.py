@@ -182,103 +182,6 @@ def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS, bala
     return train(row, col, y, weight, changes, balance=balance)
 
 
-def score(self, words: set[bytes], look: Scorer) -> float:
-        z = self.intercept + math.fsum(map(look.__getitem__, words))
-        return 1 / (1 + math.exp(-z)) if z >= 0 else math.exp(z) / (1 + math.exp(z))
-
-
-class Scorer(dict):
-    """Weights of words, kept between texts."""
-
-    def __init__(self, model: Model, most: int = 400_000):
-        super().__init__()
-        self.weights, self.most = model.weights, most
-
-    def __missing__(self, word: bytes) -> float:
-        if len(self) >= self.most:
-            self.clear()
-        value = self[word] = math.fsum(self.weights.get(b, 0.0) for b in buckets(word))
-        return value
-
-
-def _sparse(rows: list[list[int]]) -> tuple[np.ndarray, np.ndarray]:
-    size = np.asarray([len(r) for r in rows], dtype=np.int64)
-    return np.repeat(np.arange(len(rows), dtype=np.int32), size), np.asarray([b for r in rows for b in r], dtype=np.int32)
-
-
-def train(row: np.ndarray, col: np.ndarray, labels: np.ndarray, weight: np.ndarray, changes: list[tuple[int, list[int], list[int]]], balance: float = BALANCE, ridge: float = RIDGE, steps: int = STEPS) -> Model:
-    """Fit by accelerated gradient steps.
-
-    row, col: document and feature of every word's features, features in rising order inside a document. changes: (document, features lost,
-    features won) of each swapped copy.
-    """
-    lost_row, lost = _sparse([c[1] for c in changes])
-    won_row, won = _sparse([c[2] for c in changes])
-    n, d = len(labels), 1 << BITS
-    toxic, clean = labels.sum(), (1 - labels).sum()
-    once = np.ones(len(col), dtype=bool)
-    once[1:] = (col[1:] != col[:-1]) | (row[1:] != row[:-1])
-    with_it = np.bincount(col[once & (labels[row] > 0)], minlength=d)
-    without = np.bincount(col[once & (labels[row] == 0)], minlength=d)
-    expected = without * toxic / clean
-    value = np.log((with_it + SMOOTH) / (expected + SMOOTH))
-    z = (with_it - expected) / np.sqrt(with_it + expected * toxic / clean + 1e-9)
-    value[(np.abs(z) < LEAST_Z) | (with_it + without < LEAST_ROWS)] = 0
-    used = value[col] != 0
-    row, col = row[used], col[used]
-    x = value[col]
-    weight = weight / weight.sum()
-    swap_weight = weight[[c[0] for c in changes]] if changes else np.zeros(0)
-    norm = np.bincount(row, weights=x * x, minlength=n)
-    rate = 40 / max(1.0, float(np.quantile(norm, 0.99)))
-    u, b = np.zeros(d), math.log((weight @ labels) / (weight @ (1 - labels)))
-    moving, moving_b = np.zeros(d), 0.0
-    for _ in range(steps):
-        score = b + np.bincount(row, weights=u[col] * x, minlength=n)
-        error = weight * (1 / (1 + np.exp(-np.clip(score, -30, 30))) - labels)
-        grad = np.bincount(col, weights=error[row] * x, minlength=d) + ridge * u
-        if changes:
-            change = np.bincount(won_row, weights=(u * value)[won], minlength=len(changes)) - np.bincount(lost_row, weights=(u * value)[lost], minlength=len(changes))
-            pull = 2 * balance * swap_weight * change / max(1.0, rate * float(np.abs(value).max()) ** 2)
-            grad += value * (np.bincount(won, weights=pull[won_row], minlength=d) - np.bincount(lost, weights=pull[lost_row], minlength=d))
-        moving, moving_b = 0.9 * moving - rate * grad, 0.9 * moving_b - error.sum()
-        u, b = u + moving, b + moving_b
-    kept = np.flatnonzero(u * value)
-    return Model(float(b), dict(zip(kept.tolist(), (u * value)[kept].tolist(), strict=True)))
-
-
-def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS, balance: float = BALANCE) -> Model:
-    """Learn from `docs` (doc_id, text) and `labels` (doc_id, toxic); the caller leaves the held-out fold out of `labels`."""
-    known = labels.where("doc_id IS NOT NULL AND toxic IS NOT NULL").groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max((F.col("toxic") > 0).cast("int")).alias("toxic"))
-    counts = {r["toxic"]: r["n"] for r in known.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
-    if len(counts) < 2:
-        rate = float(counts.get(1, 0) > 0)
-        return Model(40.0 if rate else -40.0)
-    chosen = sampled(known.where("toxic = 0"), F.col("doc_id"), sample_rows, counts[0]).unionByName(sampled(known.where("toxic = 1"), F.col("doc_id"), sample_rows, counts[1]))
-
-    def features(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for piece in pieces(batches):
-            out: dict[str, list] = {"row": [], "lost": [], "won": []}
-            for text in texts(piece.column("text")):
-                words = words_of(text)
-                copies = swaps(words)
-                out["row"].append(sorted(b for w in words for b in buckets(w)))
-                out["lost"].append([sorted(b for w in words - c for b in buckets(w)) for c in copies])
-                out["won"].append([sorted(b for w in c - words for b in buckets(w)) for c in copies])
-            kinds = [pa.list_(pa.int32()), pa.list_(pa.list_(pa.int32())), pa.list_(pa.list_(pa.int32()))]
-            yield pa.RecordBatch.from_arrays([piece.column("doc_id"), piece.column("toxic"), *[pa.array(v, k) for v, k in zip(out.values(), kinds, strict=True)]], names=["doc_id", "toxic", *out])
-
-    # The chosen labels are as many as the sample bound allows, so they may be sent to all tasks; the texts stay where they are.
-    named = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(chosen), "doc_id")
-    found = named.mapInArrow(features, "doc_id long, toxic int, row array<int>, lost array<array<int>>, won array<array<int>>").toArrow().sort_by("doc_id").to_pydict()
-    y = np.asarray(found["toxic"], dtype=np.float64)
-    if len(set(y)) < 2:
-        return Model(40.0 if len(y) and y[0] else -40.0)
-    weight = np.where(y > 0, TOXIC_WEIGHT * counts[1] / y.sum(), counts[0] / (1 - y).sum())
-    changes = [(i, a, b) for i, pair in enumerate(zip(found["lost"], found["won"], strict=True)) for a, b in zip(*pair, strict=True)]
-    return train(found["row"], y, weight, changes, balance=balance)
-
-
 def score(docs: DataFrame, model: Model, *keep: str) -> DataFrame:
     """The columns `keep` of `docs`, and score and predicted."""
     sent = docs.sparkSession.sparkContext.broadcast(model)

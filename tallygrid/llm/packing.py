@@ -18,6 +18,7 @@ packed too; an empty table gives an empty result.
 from __future__ import annotations
 
 import base64
+import math
 import re
 import zlib
 from collections.abc import Iterable, Iterator
@@ -103,6 +104,8 @@ def vector_best_fit(lengths: np.ndarray, capacity: tuple[int, int, int], weights
     stale, made = True, 0
     for i, size in enumerate(lengths.tolist()):
         need = (size, 1, size * size)
+        if need[0] > capacity[0] or need[2] > capacity[2]:
+            raise ValueError(f"a piece of {size} tokens fits into no sequence")
         if stale:
             states, stale = np.asarray(list(stacks), dtype=np.int64).reshape(-1, 3), False
         best = None
@@ -135,8 +138,9 @@ def vector_best_fit(lengths: np.ndarray, capacity: tuple[int, int, int], weights
 def pack(docs: DataFrame, path: str, ranks: str | None = None, pattern: str | None = None, length: int = LENGTH, end: int = END, most_documents: int | None = None, most_attention: int | None = None, weights: tuple[float, float, float] = (1.0, 0.0, 0.0), choice: str = "norm", group_rows: int = GROUP_ROWS) -> DataFrame:
     """Rows of PIECES for every document of `docs`. Without own limits, documents and attention cost are bounded by `length` and its square."""
     capacity = (length, most_documents or length, most_attention or length * length)
+    longest = min(length, math.isqrt(capacity[2]))  # a piece must fit into a sequence of its own
     groups = max(1, -(-docs.count() // group_rows))
-    cut = token_pieces(docs, path, ranks, pattern, length, end)
+    cut = token_pieces(docs, path, ranks, pattern, longest, end)
     # A group is known by its hash alone; ties of doc_id are told apart by content, so copies of a row spread no further than they must.
     keyed = cut.withColumn("__group", F.pmod(F.xxhash64(F.lit("pack"), "doc_id", "ids_crc32"), F.lit(groups)).cast("int"))
 

@@ -2,8 +2,8 @@
 
 The law kept is `rows`: the shards' row counts differ by one at most. Documents are linked by equal text. Rows of one text are
 interchangeable, so the state is a table (text group, shard, rows) and no pair of rows is ever formed. Each round, every part of a
-group asks to move to the shard that holds most of the group; a shard accepts requests, largest gain first, until its quota
-is full, and may split a request. Documents without a partner have no edge to cut, so they fill what is left, which makes
+group asks to move to the shard that holds most of the group among those with room; a shard accepts requests, small groups first (they can
+be whole; a group larger than a shard can't), until its quota is full, and may split a request. Documents without a partner have no edge to cut, so they fill what is left, which makes
 the sizes exact.
 
 Defined results: a null text counts as empty, size 1; equal rows are separate rows with slots of their own; a group larger
@@ -22,16 +22,16 @@ BUCKETS = 256
 
 
 def _grant(requests: DataFrame, quotas: list[int], shards: int) -> DataFrame:
-    """Add `granted`: how many of a request's rows its target takes, in the order of gain, then of hash.
+    """Add `granted`: how many of a request's rows its target takes, by size class of the group, then by hash.
 
-    The running sums are taken in two levels, over the sums of (target, gain class, hash bucket) and inside each of them, so that no
+    The running sums are taken in two levels, over the sums of (target, size class, hash bucket) and inside each of them, so that no
     task holds all requests for a shard.
     """
-    requests = requests.withColumn("__class", F.floor(F.log2(F.col("gain") + 2)).cast("int")).withColumn("__bucket", F.pmod(F.xxhash64(F.lit("grant"), "g", "shard"), F.lit(BUCKETS)).cast("int"))
+    requests = requests.withColumn("__class", F.floor(F.log2(F.col("group_rows"))).cast("int")).withColumn("__bucket", F.pmod(F.xxhash64(F.lit("grant"), "g", "shard"), F.lit(BUCKETS)).cast("int"))
     key = ["target", "__class", "__bucket"]
-    earlier = Window.partitionBy("target").orderBy(F.desc("__class"), "__bucket").rowsBetween(Window.unboundedPreceding, -1)
+    earlier = Window.partitionBy("target").orderBy("__class", "__bucket").rowsBetween(Window.unboundedPreceding, -1)
     sums = requests.groupBy(*key).agg(F.sum("rows").alias("__sum")).withColumn("__start", F.coalesce(F.sum("__sum").over(earlier), F.lit(0))).drop("__sum")
-    inside = Window.partitionBy(*key).orderBy(F.desc("gain"), "g", "shard").rowsBetween(Window.unboundedPreceding, -1)
+    inside = Window.partitionBy(*key).orderBy("group_rows", "g", "shard").rowsBetween(Window.unboundedPreceding, -1)
     quota = _at(quotas, F.col("target"))
     start = F.col("__start") + F.coalesce(F.sum("rows").over(inside), F.lit(0))
     return requests.join(sums, key).withColumn("granted", F.greatest(F.lit(0), F.least(F.col("rows"), quota - start))).drop("__class", "__bucket", "__start")
@@ -53,9 +53,10 @@ def propagate(state: DataFrame, capacity: list[int], rounds: int = 3) -> DataFra
     for _ in range(rounds):
         load = _load(state, shards)
         quotas = [max(0, c - n) for c, n in zip(capacity, load, strict=True)]
-        best = F.max(F.struct(F.col("rows"), F.pmod(F.xxhash64("g", "shard"), F.lit(1 << 20)).alias("tie"), F.col("shard"))).over(Window.partitionBy("g"))
-        asked = state.withColumn("best", best).withColumn("target", F.col("best.shard")).withColumn("gain", F.col("best.rows") - F.col("rows"))
-        moves = _grant(asked.where("target != shard").drop("best"), quotas, shards).where("granted > 0")
+        room = _at(quotas, F.col("shard")) > 0
+        best = F.max(F.struct(room.alias("room"), F.col("rows"), F.pmod(F.xxhash64("g", "shard"), F.lit(1 << 20)).alias("tie"), F.col("shard"))).over(Window.partitionBy("g"))
+        asked = state.withColumn("best", best).withColumn("target", F.col("best.shard")).withColumn("group_rows", F.sum("rows").over(Window.partitionBy("g")))
+        moves = _grant(asked.where("best.room AND target != shard").drop("best"), quotas, shards).where("granted > 0")
         change = moves.select("g", F.explode(F.array(F.struct(F.col("shard"), (-F.col("granted")).alias("rows")), F.struct(F.col("target").alias("shard"), F.col("granted").alias("rows")))).alias("x")).select("g", "x.*")
         state = cut(state.unionByName(change).groupBy("g", "shard").agg(F.sum("rows").alias("rows")).where("rows > 0"))
     return state

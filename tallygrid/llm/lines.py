@@ -72,24 +72,22 @@ def _block(schema: str, rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), kinds, strict=True)], schema=kinds)
 
 
-def all_lines(docs: DataFrame, least_words: int = LEAST_WORDS) -> DataFrame:
-    """(doc_id, line, h): h is the hash of the words, null for lines too short to be judged."""
-    return _scan(docs, lambda d, k, w: [(d, k, _signed(_hash(b" ".join(w))) if len(w) >= least_words else None)], "doc_id long, line int, h long")
+def scan_lines(docs: DataFrame, least_words: int = LEAST_WORDS, near_words: int = NEAR_WORDS) -> DataFrame:
+    """(doc_id, line, h, k0 .. k3): h is the hash of the words, null for lines too short to be judged; k0 to k3 are the keys of its halves, k0 null
+    for lines too short to be near another."""
 
+    def make(doc_id: int, line: int, words: list[bytes]) -> list[tuple]:
+        n = len(words)
+        h = _signed(_hash(b" ".join(words))) if n >= least_words else None
+        keys = [k for k, _ in _halves(words)] if n >= near_words - 1 else []
+        return [(doc_id, line, h, *keys, *[None] * (4 - len(keys)))]
 
-def candidates(docs: DataFrame, near_words: int = NEAR_WORDS) -> DataFrame:
-    """(doc_id, line, first, second): earliest copies of lines that share a half with another line; first: the first half may differ."""
+    return _scan(docs, make, "doc_id long, line int, h long, k0 long, k1 long, k2 long, k3 long")
 
-    def make(doc_id: int, line: int, words: list[bytes]) -> list[tuple]:
-        if len(words) < near_words - 1:
-            return []
-        h = _signed(_hash(b" ".join(words)))
-        keys = _halves(words)
-        keys += [(None, None)] * (4 - len(keys))
-        return [(doc_id, line, h, *[k for k, _ in keys])]
-
-    scanned = _scan(docs, make, "doc_id long, line int, h long, k0 long, k1 long, k2 long, k3 long")
-    distinct = scanned.groupBy("h").agg(F.min(F.struct("doc_id", "line", "k0", "k1", "k2", "k3")).alias("x")).select("x.*")
+
+def candidates(scanned: DataFrame) -> DataFrame:
+    """(doc_id, line, first, second): earliest copies of lines that share a half with another line; first: the first half may differ."""
+    distinct = scanned.where("k0 IS NOT NULL").groupBy("h").agg(F.min(F.struct("doc_id", "line", "k0", "k1", "k2", "k3")).alias("x")).select("x.*")
     halves = distinct.select("doc_id", "line", F.posexplode(F.array("k0", "k1", "k2", "k3")).alias("side", "key")).where("key IS NOT NULL").withColumn("side", F.col("side") % 2)
     shared = halves.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
     return halves.join(shared, "key").groupBy("doc_id", "line").agg(F.max(F.col("side") == 1).alias("first"), F.max(F.col("side") == 0).alias("second"))
@@ -125,9 +123,9 @@ def _verified(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield piece.select(["doc_id", "line"]).filter(pa.array(fits, pa.bool_()))
 
 
-def near_lines(docs: DataFrame, near_words: int = NEAR_WORDS) -> DataFrame:
+def near_lines(docs: DataFrame, scanned: DataFrame, near_words: int = NEAR_WORDS) -> DataFrame:
     """(doc_id, line) of earliest copies of lines that have an earlier line within one edit."""
-    found = cut(candidates(docs, near_words))
+    found = cut(candidates(scanned))
 
     def make(doc_id: int, line: int, words: list[bytes]) -> list[tuple]:
         return [(doc_id, line, b" ".join(words).decode())] if len(words) >= near_words - 1 else []
@@ -151,8 +149,9 @@ def near_lines(docs: DataFrame, near_words: int = NEAR_WORDS) -> DataFrame:
 
 def judge(docs: DataFrame, least_words: int = LEAST_WORDS, near_words: int = NEAR_WORDS) -> DataFrame:
     """doc_id, n_lines, n_exact, n_near and dropped, the numbers from 0 of the document's lines that go, in order."""
-    near = cut(near_lines(docs, near_words)).withColumn("is_near", F.lit(True))
-    lines = cut(all_lines(docs, least_words))
+    scanned = cut(scan_lines(docs, least_words, near_words))
+    near = cut(near_lines(docs, scanned, near_words)).withColumn("is_near", F.lit(True))
+    lines = scanned.select("doc_id", "line", "h")
     first = lines.where("h IS NOT NULL").groupBy("h").agg(F.min(F.struct("doc_id", "line")).alias("first"))
     first = first.join(near, (F.col("first.doc_id") == F.col("doc_id")) & (F.col("first.line") == F.col("line")), "left").select("h", "first", F.coalesce("is_near", F.lit(False)).alias("is_near"))
     judged = lines.join(first, "h", "left").withColumn("exact", F.col("first") < F.struct("doc_id", "line"))

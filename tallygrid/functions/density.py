@@ -198,8 +198,8 @@ def conv_power(f: np.ndarray, power: float) -> np.ndarray:
         out[0] = 1.0
         while n:
             if n & 1:
-                out = _convolve(out, base)[:l]
-            base = _convolve(base, base)[:l]
+                out = convolved(out, base)[:l]
+            base = convolved(base, base)[:l]
             n >>= 1
         return out
     # Coefficients of a power series' real power, by its differential equation.
@@ -213,6 +213,6 @@ def conv_power(f: np.ndarray, power: float) -> np.ndarray:
     return np.maximum(out, 0)
 
 
-def _convolve(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+def convolved(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     size = 1 << int(np.ceil(np.log2(len(a) + len(b))))
     return np.maximum(np.fft.irfft(np.fft.rfft(a, size) * np.fft.rfft(b, size), size)[: len(a) + len(b) - 1], 0)

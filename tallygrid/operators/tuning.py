@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 
-from ..functions.density import conv_power
+from ..functions.density import conv_power, convolved
 from ..functions.statistics import beta_quantile
 from .errors import Law
 
@@ -28,7 +28,7 @@ def depth_widths(base: np.ndarray, depths: list[int], levels: list[float]) -> li
     """
     rows, f, at = [], base.copy(), 1
     for depth in sorted(depths):
-        f = conv_power(base, depth) if depth > at + 1 or depth == 1 else np.maximum(np.convolve(f, base)[: len(base)], 0) if depth == at + 1 else f
+        f = conv_power(base, depth) if depth > at + 1 or depth == 1 else convolved(f, base)[: len(base)] if depth == at + 1 else f
         at = depth
         cum = np.cumsum(f)
         for level in levels:
@@ -57,4 +57,4 @@ def compound_is_logconcave(g: np.ndarray, load: float) -> bool:
     """Is the compound Poisson law of counts g (from 1) at this load log-concave? It is if x g(x) is log-concave and load >= 2 g(2) / g(1)^2."""
     biased = g * np.arange(1, len(g) + 1)
     ok = bool((biased[1:-1] ** 2 >= biased[:-2] * biased[2:] * (1 - 1e-12)).all())
-    return ok and load >= 2 * g[1] / g[0] ** 2
+    return ok and bool(load >= 2 * g[1] / g[0] ** 2)

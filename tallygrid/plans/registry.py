@@ -385,10 +385,10 @@ def ci_coverage_nominal(spark, d):
     return spark.createDataFrame([(round(estimates.nominal_coverage(g, LEVEL), 9),)], "coverage double")
 
 
-@add("ci_width_ratio", f"{sql_base()}, {SQL_HIST} SELECT round((SELECT sum(c) FROM t) * pow(0.1, -0.25) / 250 / {sql_rank(beta_quantile(0.9, 1, 4))}, 6) AS ratio")
+@add("ci_width_ratio", f"{sql_base()}, {SQL_HIST} SELECT round((SELECT sum(c) FROM t) * pow(0.1, -0.25) / 250 / greatest(1, {sql_rank(beta_quantile(0.9, 1, 4))}), 6) AS ratio")
 def ci_width_ratio(spark, d):
     f = estimates.grid_law(Setting(spark, d).grid)
-    ratio = estimates.markov_width(float(f.x @ f.m / 4), 4, 250, LEVEL) / f.quantile(beta_quantile(LEVEL, 1, 4))
+    ratio = estimates.markov_width(float(f.x @ f.m / 4), 4, 250, LEVEL) / max(1.0, f.quantile(beta_quantile(LEVEL, 1, 4)))
     return spark.createDataFrame([(round(ratio, 6),)], "ratio double")
 
 
@@ -740,3 +740,4 @@ def stream_grid(spark, d):
 for _name in relational.SQL:
     add(_name, relational.oracle(_name))(lambda spark, d, name=_name: relational.run(spark, d, name))
 
+from . import studies  # noqa: E402,F401  adds its own queries

@@ -20,8 +20,9 @@ METHODS = ("min", "debiased_min", "debiased_mean", "debiased_median", "mle", "de
 
 def estimates(df: DataFrame, spec: GridSpec, most: int = 2000, level: float = 0.9) -> DataFrame:
     """(item, truth, method, est, lo, hi) for the `most` largest items."""
-    grid = CounterGrid(build_grid(df, spec).df.cache(), spec)
-    truth = top_items(df, most).cache()
+    counts = df.groupBy("item").agg(F.sum("c").alias("c")).cache()  # one pass over the input; grids of counts are grids of tuples
+    grid = CounterGrid(build_grid(counts, spec).df.cache(), spec)
+    truth = top_items(counts, most).cache()
     probed = probe(truth.select("item"), grid).cache()
     errors = law(error_hist(grid))
     n_total = float(errors.x @ errors.m / spec.r)

@@ -53,7 +53,7 @@ def texts(column: pa.Array) -> list[bytes | None]:
     return column.cast(pa.large_binary() if pa.types.is_large_string(column.type) else pa.binary()).to_pylist()
 
 
-def pieces(batches: Iterable[pa.RecordBatch], most_bytes: int = 6_000_000, column: str = "text") -> Iterator[pa.RecordBatch]:
+def pieces(batches: Iterable[pa.RecordBatch], most_bytes: int = 4_000_000, column: str = "text") -> Iterator[pa.RecordBatch]:
     """The batches, cut so that each piece has about `most_bytes` bytes of text; a single longer row stays whole."""
     for batch in batches:
         if not batch.num_rows:
@@ -68,7 +68,7 @@ def pieces(batches: Iterable[pa.RecordBatch], most_bytes: int = 6_000_000, colum
 class WordHashes(dict):
     """64-bit hashes of words, kept between documents. It empties itself before it can outgrow the worker's memory."""
 
-    def __init__(self, most: int = 400_000):
+    def __init__(self, most: int = 200_000):
         super().__init__()
         self.most = most
 

@@ -89,7 +89,7 @@ class Model:
 class Scorer(dict):
     """Weights of words, kept between texts."""
 
-    def __init__(self, model: Model, most: int = 400_000):
+    def __init__(self, model: Model, most: int = 200_000):
         super().__init__()
         self.weights, self.most = model.weights, most
 

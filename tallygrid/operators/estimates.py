@@ -63,6 +63,16 @@ def debiased_min_own_out(probed: DataFrame, hist: DataFrame, r: int, truncate: b
     return with_law.select("item", (F.greatest(F.lit(0.0), raw) if truncate else raw).alias("est"))
 
 
+def min_interval_own_out(probed: DataFrame, hist: DataFrame, r: int, level: float = 0.95) -> DataFrame:
+    """item, est, lo, hi: the one-sided interval of the minimum under the error law without the item's own counters."""
+    atoms = F.broadcast(hist.agg(F.sort_array(F.collect_list(F.struct("v", "cum"))).alias("atoms"), F.sum("m").alias("n")))
+    need = F.ceil(F.lit(beta_quantile(level, 1, r)) * (F.col("n") - F.lit(r)) - F.lit(1e-9))
+    own = lambda y: F.size(F.filter("v", lambda x: x <= y))
+    width = F.element_at(F.filter("atoms", lambda a: a["cum"] - own(a["v"]) >= need), 1)["v"]
+    low = t_min(F.col("v"))
+    return probed.crossJoin(atoms).select("item", low.alias("est"), F.greatest(F.lit(0), low - width).alias("lo"), low.alias("hi"))
+
+
 def markov_width(n_total: float, r: int, k: int, level: float) -> float:
     """Width below the minimum that Markov's inequality gives: the mean error times alpha to the -1/r."""
     return n_total * (1 - level) ** (-1 / r) / k

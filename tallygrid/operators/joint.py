@@ -48,21 +48,23 @@ def least_squares(cells: np.ndarray, values: np.ndarray, intercept: bool = False
     return x
 
 
-def joint_mle(cells: np.ndarray, values: np.ndarray, start: np.ndarray, trim: float = 0.01, rounds: int = 20, tol: float = 1e-3, update: bool = True, spline: LogSpline | None = None) -> tuple[np.ndarray, int]:
+def joint_mle(cells: np.ndarray, values: np.ndarray, start: np.ndarray, trim: float = 0.01, rounds: int = 20, tol: float = 1e-3, update: bool = True, spline: LogSpline | None = None, scope: str = "all") -> tuple[np.ndarray, int]:
     """(counts, rounds): density of the residuals and counts in turn.
 
     A round fits the density to all residual cells, then moves every count half way to its best value given the others, within 0 and what its cells leave.
+    `scope`: the objective and the density see `all` cells, or the items' `own` cells alone.
     Half steps keep items that share cells from overshooting together; the best objective's counts are kept.
     """
     theta = start.astype(np.float64).copy()
     n, r = cells.shape
     best, best_value = theta.copy(), -np.inf
+    seen = np.unique(cells) if scope == "own" else slice(None)
     for done in range(1, rounds + 1):
         residual = values - np.bincount(cells.ravel(), weights=np.repeat(theta, r), minlength=len(values))
         if spline is None or update:
-            x, m = np.unique(np.maximum(0, residual), return_counts=True)
+            x, m = np.unique(np.maximum(0, residual[seen]), return_counts=True)
             spline = fit_logconcave(x, m, trim).extended()
-        value = float(np.maximum(spline(np.maximum(0, residual)), -1e6).sum())
+        value = float(np.maximum(spline(np.maximum(0, residual[seen])), -1e6).sum())
         if value > best_value:
             best, best_value = theta.copy(), value
         open_cells = residual[cells] + theta[:, None]

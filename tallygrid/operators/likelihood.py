@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -59,9 +59,9 @@ def debiased_mle(probed: DataFrame, grid: CounterGrid, spline: LogSpline, level:
     return raw.select("item", cut(F.col("raw") - g.mean()).alias("est"), cut(F.col("raw") - high).alias("lo"), (F.col("raw") - low).alias("hi"))
 
 
-def bayes_estimates(probed: DataFrame, spline: LogSpline, loss: str = "l2", level: float = 0.9, power: float | None = None, cap: float = 10.0) -> DataFrame:
-    """item, est, lo, hi by the posterior of each count; flat prior, or (n + 1)^-power."""
-    prior = None if power is None else (lambda n: -power * np.log(n + 1))
+def bayes_estimates(probed: DataFrame, spline: LogSpline, loss: str = "l2", level: float = 0.9, power: float | None = None, cap: float = 10.0, log_prior: Callable | None = None) -> DataFrame:
+    """item, est, lo, hi by the posterior of each count; flat prior, (n + 1)^-power, or `log_prior` of counts."""
+    prior = log_prior if power is None else (lambda n: -power * np.log(n + 1))
 
     def kernel(v: np.ndarray) -> list[np.ndarray]:
         out = []
@@ -73,5 +73,30 @@ def bayes_estimates(probed: DataFrame, spline: LogSpline, loss: str = "l2", leve
     return _by_item(probed, kernel, "est lo hi")
 
 
+def posteriors(probed: DataFrame, spline: LogSpline, least: float = 0.0) -> DataFrame:
+    """(item, n, p): the posterior of each count under a flat prior; probabilities below `least` are left out."""
+    kind = dict(probed.dtypes)["item"]
+
+    def blocks(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at, row in enumerate(counters(batch.column("v")) if batch.num_rows else ()):
+                n, p = posterior(row, spline)
+                n, p = n[p >= least], p[p >= least]
+                item = batch.column("item").take(pa.array(np.full(len(n), at)))
+                yield pa.RecordBatch.from_arrays([item, pa.array(n.astype(np.int64)), pa.array(p)], names=["item", "n", "p"])
+
+    return probed.select("item", "v").mapInArrow(blocks, f"item {kind}, n long, p double")
+
+
+def empirical_prior(sample: DataFrame) -> Callable:
+    """Log shares of counts in `sample` (item, c), an item for each; counts are gathered in bins a factor of two wide and shared evenly inside them."""
+    bins = sample.groupBy("item").agg(F.sum("c").alias("c")).groupBy(F.floor(F.log2(F.col("c") + 1)).alias("b")).agg(F.count("*").alias("m")).collect()
+    share = np.full(64, 0.5)
+    for row in bins:
+        share[row["b"]] += row["m"]
+    log = np.log(share / share.sum()) - np.arange(64) * np.log(2)
+    return lambda n: log[np.floor(np.log2(n + 1)).astype(int)]
+
+
 def location_estimates(probed: DataFrame, loss: str = "huber") -> DataFrame:
     return _by_item(probed, lambda v: [location(v, loss)], "est")

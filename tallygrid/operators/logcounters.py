@@ -40,3 +40,34 @@ def build_logcounters(df: DataFrame, spec: GridSpec, base: float = 1.1, seed: in
 def values(grid: CounterGrid, base: float) -> CounterGrid:
     """The grid of the counts that levels stand for, rounded."""
     return CounterGrid(grid.df.withColumn("v", F.round((F.pow(F.lit(base), F.col("v")) - 1) / (base - 1)).cast("long")), grid.spec)
+
+
+def level_table(counts: np.ndarray, levels: int, base: float) -> np.ndarray:
+    """P(level | count), counts by levels 0 to `levels`, from the waiting times' means and variances."""
+    from math import erf
+
+    j = np.arange(levels + 2, dtype=np.float64)
+    mean, var = (base**j - 1) / (base - 1), (base ** (2 * j) - 1) / (base**2 - 1) - (base**j - 1) / (base - 1)
+    z = (counts[:, None] + 0.5 - mean) / np.sqrt(np.maximum(var, 1e-9))
+    reached = 0.5 * (1 + np.vectorize(erf)(np.clip(z, -40, 40) / np.sqrt(2)))
+    reached[:, 0] = 1.0
+    reached = np.minimum.accumulate(reached, axis=1)
+    return np.maximum(reached[:, :-1] - reached[:, 1:], 1e-300)
+
+
+def level_mle(v: np.ndarray, law, base: float, most: int = 600) -> np.ndarray:
+    """Counts that maximise the likelihood of own levels v: each cell's chance sums over the errors that may lie beside the count.
+
+    `law`: errors in counts. Counts tried are 0, 1, ... as far as `most` allows, then evenly further apart.
+    """
+    top = float(level_value(np.asarray(v.max(), dtype=np.float64), base))
+    tried = np.unique(np.rint(np.linspace(0, top, most)))
+    at = np.unique(np.linspace(0, len(law.x) - 1, 400).astype(int))
+    part = np.searchsorted(at, np.arange(len(law.x)), side="right") - 1
+    weight = np.bincount(part, weights=law.m)
+    errors = np.bincount(part, weights=law.m * law.x) / weight
+    chance = np.empty((len(tried), int(v.max()) + 1))
+    for i, n in enumerate(tried):
+        chance[i] = weight @ level_table(n + errors, int(v.max()), base) / law.n
+    log = np.log(np.maximum(chance, 1e-300))
+    return tried[np.argmax(sum(log[:, v[:, a].astype(int)] for a in range(v.shape[1])), axis=0)]

@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.density import convolved
 from ..functions.hashing import GridSpec, cell, sign
 from ..functions.statistics import t_median, t_min
 from .grid import CounterGrid, cell_load, cells_of, incidence, probe
@@ -52,14 +54,19 @@ def conservative_batches(df: DataFrame, spec: GridSpec, batches: int) -> Counter
     """
     grid = None
     for b in range(batches):
-        own = df.where(F.col("batch") == b).groupBy("item").agg(F.sum("c").alias("c"))
-        low = own.withColumn("low", F.lit(0).cast("long")) if grid is None else probe(own, grid).withColumn("low", F.array_min("v")).drop("v")
-        raised = low.select(F.explode(cells_of(F.col("item"), spec)).alias("x"), (F.col("low") + F.col("c")).alias("v")).select("x.rep", "x.idx", "v")
-        raised = raised if grid is None else raised.unionByName(grid.df)
-        grid = CounterGrid(raised.groupBy("rep", "idx").agg(F.max("v").alias("v")), spec)
+        grid = raise_cells(df.where(F.col("batch") == b), grid, spec)
     return grid
 
 
+def raise_cells(df: DataFrame, grid: CounterGrid | None, spec: GridSpec) -> CounterGrid:
+    """The grid (None: empty) after one batch of conservative updates."""
+    own = df.groupBy("item").agg(F.sum("c").alias("c"))
+    low = own.withColumn("low", F.lit(0).cast("long")) if grid is None else probe(own, grid).withColumn("low", F.array_min("v")).drop("v")
+    raised = low.select(F.explode(cells_of(F.col("item"), spec)).alias("x"), (F.col("low") + F.col("c")).alias("v")).select("x.rep", "x.idx", "v")
+    raised = raised if grid is None else raised.unionByName(grid.df)
+    return CounterGrid(raised.groupBy("rep", "idx").agg(F.max("v").alias("v")), spec)
+
+
 def build_decayed(df: DataFrame, spec: GridSpec, age_days: Column, half_life: float, scale: int = 1_000_000) -> CounterGrid:
     """Counts weighted by 2^(-age / half-life), in whole parts of 1 / scale so that sums don't depend on their order."""
     weight = F.round(F.col("c") * F.lit(scale) * F.pow(F.lit(2.0), -age_days / F.lit(float(half_life)))).cast("long")
@@ -108,6 +115,18 @@ def surrogate_products(u: CounterGrid, v: CounterGrid, shifts: int) -> DataFrame
     return u.df.withColumnRenamed("v", "u").join(moved, ["rep", "idx"]).groupBy("rep", "shift").agg(F.sum(F.col("u") * F.col("v")).alias("product"))
 
 
+def product_law(x: np.ndarray, m: np.ndarray, y: np.ndarray, n: np.ndarray, bins: int = 4096) -> tuple[float, np.ndarray, np.ndarray]:
+    """(share of zero, values, shares) of the product of two independent non-negative laws: logs add, so their histograms are convolved."""
+    zero = 1 - m[x > 0].sum() / m.sum() * n[y > 0].sum() / n.sum()
+    (a, p), (b, q) = ((np.log(v[v > 0]), w[v > 0] / w[v > 0].sum()) for v, w in ((x, m), (y, n)))
+    if not len(a) or not len(b):
+        return 1.0, np.zeros(0), np.zeros(0)
+    step = max(np.ptp(a), np.ptp(b), 1e-9) / (bins - 1)
+    h, g = (np.bincount(np.rint((v - v.min()) / step).astype(int), weights=w) for v, w in ((a, p), (b, q)))
+    both = convolved(h, g)
+    return float(zero), np.exp(a.min() + b.min() + step * np.arange(len(both))), (1 - zero) * both
+
+
 def coordinated_sample(df: DataFrame, share: float, seed: int = 5) -> DataFrame:
     """All tuples of the items whose hash is in the share: the items' number falls, their counts stay."""
     digest = F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}:"), F.col("item").cast("string")).cast("binary")), 1, 13), 16, 10).cast("long")

@@ -461,3 +461,6 @@ def register(spark) -> None:
 def sql_functions(spark, d):
     register(spark)
     return spark.sql("SELECT item, tg_min(v) AS low, tg_order(v, 2) AS second, round(tg_median(v), 6) AS median FROM {p}", p=Setting(spark, d).probed)
+
+
+from . import further, stream_queries  # noqa: E402,F401  add their own queries

@@ -5,12 +5,14 @@ from __future__ import annotations
 import uuid
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.hashing import GridSpec
 from ..operators.errors import Law
-from ..operators.grid import cells_of
+from ..operators.estimates import narrowest
+from ..operators.grid import CounterGrid, cells_of, probe
+from ..operators.variants import raise_cells
 
 
 def stream_grid(stream: DataFrame, spec: GridSpec) -> DataFrame:
@@ -33,6 +35,116 @@ def drained(stream: DataFrame, mode: str, checkpoint: str) -> DataFrame:
     return stream.sparkSession.table(name)
 
 
+def sessions(stream: DataFrame, gap: str, late: str = "0 seconds") -> DataFrame:
+    """(item, start, end, c) of each item's sessions, once closed: no tuple within `gap` of the one before."""
+    found = stream.withWatermark("ts", late).groupBy(F.session_window("ts", gap).alias("w"), "item").agg(F.sum("c").alias("c"))
+    return found.select("item", F.col("w.start").alias("start"), F.col("w.end").alias("end"), "c")
+
+
+def decayed_grid(stream: DataFrame, spec: GridSpec, half_life_days: float, landmark: str, scale: int = 1_000_000) -> DataFrame:
+    """(rep, idx, v) with weights that double every half-life after `landmark`, so that no cell has to be touched as time goes on.
+
+    Weights are whole parts of 1 / scale; an answer at time t is divided by the weight of t.
+    """
+    weight = F.round(F.col("c") * F.lit(scale) * growth(F.col("ts"), half_life_days, landmark)).cast("long")
+    return stream_grid(stream.select("item", weight.alias("c")), spec)
+
+
+def growth(at: Column, half_life_days: float, landmark: str) -> Column:
+    days = (F.unix_micros(at) - F.unix_micros(F.lit(landmark).cast("timestamp"))).cast("double") / F.lit(86_400e6)
+    return F.pow(F.lit(2.0), days / F.lit(float(half_life_days)))
+
+
+def interval_join(left: DataFrame, right: DataFrame, within: str, late: str = "1 hour") -> DataFrame:
+    """Pairs of equal items of two streams, `right` after `left` and no later than `within`; old state goes with the watermarks."""
+    a = left.select(F.col("item"), F.col("ts").alias("left_ts"), F.col("event_id").alias("left_id")).withWatermark("left_ts", late)
+    b = right.select(F.col("item").alias("right_item"), F.col("ts").alias("right_ts"), F.col("event_id").alias("right_id")).withWatermark("right_ts", late)
+    near = (F.col("right_ts") > F.col("left_ts")) & (F.col("right_ts") <= F.col("left_ts") + F.expr(f"INTERVAL {within}"))
+    return a.join(b, (F.col("item") == F.col("right_item")) & near).select("item", "left_id", "right_id")
+
+
+def drained_to_files(stream: DataFrame, folder: str) -> DataFrame:
+    """Run an appending stream over all that is there now; rows go to files, so their number is not bound by the driver."""
+    path = f"{folder}/rows_{uuid.uuid4().hex}"
+    stream.writeStream.format("parquet").option("path", path).option("checkpointLocation", f"{path}_log").outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    return stream.sparkSession.read.schema(stream.schema).parquet(path)
+
+
+class BatchGrids:
+    """Grids of micro-batches in a shared folder, one file set for each batch id: a batch that runs twice counts once.
+
+    Late tuples are added like any others, as grids are linear. `keys`: further columns that tell grids apart, such as windows.
+    """
+
+    def __init__(self, folder: str, spec: GridSpec, *keys: str):
+        self.path, self.spec, self.keys = f"{folder}/grids_{uuid.uuid4().hex}", spec, keys
+
+    def absorb(self, batch: DataFrame, batch_id: int) -> None:
+        spread = batch.select(*self.keys, F.explode(cells_of(F.col("item"), self.spec)).alias("x"), "c")
+        spread.groupBy(*self.keys, "x.rep", "x.idx").agg(F.sum("c").alias("v")).write.mode("overwrite").parquet(f"{self.path}/batch={batch_id}")
+
+    def merged(self, spark: SparkSession) -> DataFrame:
+        return spark.read.parquet(self.path).groupBy(*self.keys, "rep", "idx").agg(F.sum("v").alias("v"))
+
+    def grid(self, spark: SparkSession) -> CounterGrid:
+        return CounterGrid(self.merged(spark).select("rep", "idx", "v"), self.spec)
+
+
+class ConservativeGrid:
+    """Conservative updates batch by batch; a batch reads the grid that the one before wrote, so reruns agree."""
+
+    def __init__(self, folder: str, spec: GridSpec):
+        self.path, self.spec, self.last = f"{folder}/conservative_{uuid.uuid4().hex}", spec, None
+
+    def absorb(self, batch: DataFrame, batch_id: int) -> None:
+        spark = batch.sparkSession
+        before = None if batch_id == 0 else CounterGrid(spark.read.parquet(f"{self.path}/{batch_id - 1}"), self.spec)
+        raise_cells(batch, before, self.spec).df.write.mode("overwrite").parquet(f"{self.path}/{batch_id}")
+        self.last = batch_id
+
+    def grid(self, spark: SparkSession) -> CounterGrid:
+        return CounterGrid(spark.read.parquet(f"{self.path}/{self.last}"), self.spec)
+
+
+class TopItems:
+    """The `most` items with the largest estimates: after each batch, the old ones and the batch's items are ranked by the grid of all batches."""
+
+    def __init__(self, folder: str, spec: GridSpec, most: int):
+        self.grids, self.most, self.path, self.last = BatchGrids(folder, spec), most, f"{folder}/top_{uuid.uuid4().hex}", None
+
+    def absorb(self, batch: DataFrame, batch_id: int) -> None:
+        spark = batch.sparkSession
+        self.grids.absorb(batch, batch_id)
+        items = batch.select("item").distinct()
+        if batch_id:
+            items = items.union(spark.read.parquet(f"{self.path}/{batch_id - 1}").select("item")).distinct()
+        ranked = probe(items, self.grids.grid(spark)).select("item", F.array_min("v").alias("est")).orderBy(F.desc("est"), "item").limit(self.most)
+        ranked.write.mode("overwrite").parquet(f"{self.path}/{batch_id}")
+        self.last = batch_id
+
+    def items(self, spark: SparkSession) -> DataFrame:
+        return spark.read.parquet(f"{self.path}/{self.last}")
+
+
+class AutoEstimator:
+    """Every `period` batches, the simple estimator with the narrowest interval on the grid of all batches so far."""
+
+    def __init__(self, folder: str, spec: GridSpec, statistics: dict, period: int = 1, level: float = 0.9):
+        self.grids, self.statistics, self.period, self.level = BatchGrids(folder, spec), statistics, period, level
+        self.choices: list[tuple[int, str, float]] = []
+
+    def absorb(self, batch: DataFrame, batch_id: int) -> None:
+        self.grids.absorb(batch, batch_id)
+        if (batch_id + 1) % self.period == 0:
+            name, widths = narrowest(self.grids.grid(batch.sparkSession), self.statistics, self.level)
+            self.choices.append((batch_id, name, float(widths[name])))
+
+
+def each_batch(stream: DataFrame, absorb: Callable[[DataFrame, int], None], folder: str) -> None:
+    """Run `absorb` on the micro-batches of all that is there now."""
+    stream.writeStream.foreachBatch(absorb).option("checkpointLocation", f"{folder}/log_{uuid.uuid4().hex}").trigger(availableNow=True).start().awaitTermination()
+
+
 class LazyDensity:
     """A fitted density that is fitted anew only when the law has moved by `delta` since."""
 

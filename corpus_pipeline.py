@@ -19,8 +19,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Lines that are within one word of an earlier line go, and documents of which nothing is left; n_chars follows the text."""
-    return lines.deduplicate(docs)
+    """Lines that repeat an earlier line, or from ten words on are within one word of one, go, and documents of which nothing is left; n_chars follows the text."""
+    return lines.deduplicate(docs, least_words=1)
 
 
 def dedup_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

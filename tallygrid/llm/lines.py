@@ -164,9 +164,12 @@ def judge(docs: DataFrame, least_words: int = LEAST_WORDS, near_words: int = NEA
     return whole.select("doc_id", n("n_lines").alias("n_lines"), n("n_exact").alias("n_exact"), (F.size("dropped") - n("n_exact")).cast("long").alias("n_near"), "dropped")
 
 
-def deduplicate(docs: DataFrame) -> DataFrame:
-    """`docs`, all columns, without dropped lines, a column n_chars following the text; a document that loses all its lines with words goes."""
-    verdicts = judge(docs).where(F.size("dropped") > 0).select(F.col("doc_id").alias("__id"), "dropped", "n_lines")
+def deduplicate(docs: DataFrame, least_words: int = LEAST_WORDS, near_words: int = NEAR_WORDS) -> DataFrame:
+    """`docs`, all columns, without dropped lines, a column n_chars following the text; a document that loses all its lines with words goes.
+
+    With `least_words` 1 a later exact copy of a document goes whatever the length of its lines; a higher floor leaves it as a stub of its short lines.
+    """
+    verdicts = judge(docs, least_words, near_words).where(F.size("dropped") > 0).select(F.col("doc_id").alias("__id"), "dropped", "n_lines")
     joined = docs.join(verdicts, F.col("doc_id").cast("long") == F.col("__id"), "left").where(F.col("dropped").isNull() | (F.size("dropped") < F.col("n_lines")))
     kept = F.array_join(F.filter(F.split("text", "\n", -1), lambda x, i: ~F.array_contains(F.col("dropped"), i)), "\n")
     joined = joined.withColumn("text", F.when(F.col("dropped").isNull(), F.col("text")).otherwise(kept))

@@ -421,3 +421,18 @@ def test_pipeline(spark, sf):
     assert corpus_pipeline.run(spark, sf).count() > 0
     kept = corpus_pipeline.drop_toxic(spark, docs, sf)
     assert kept.columns == docs.columns and 0.8 * docs.count() < kept.count() <= docs.count()
+
+
+def test_pipeline_drops_exact_copies_with_short_lines(spark, sf, tmp_path):
+    import corpus_pipeline
+
+    g = np.random.default_rng(7)
+    long_line = " ".join(f"q{i}" for i in g.integers(0, 500, 40))
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    planted = spark.createDataFrame([(10**9 + k, f"Contents\n{long_line}\nAll rights reserved.", "en", "planted", 0) for k in range(3)], SCHEMA)
+    planted = planted.select(*[F.col(c).cast(docs.schema[c].dataType) for c in docs.columns])
+    docs.unionByName(planted).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.read.parquet(f"{sf}/labels.parquet").write.parquet(f"{tmp_path}/labels.parquet")
+    left = {r["doc_id"] for r in corpus_pipeline.run(spark, str(tmp_path)).where("doc_id >= 1000000000").select("doc_id").collect()}
+    kept = {r["doc_id"] for r in corpus_pipeline.dedup_lines(spark, planted, sf).collect()}
+    assert left == kept == {10**9}

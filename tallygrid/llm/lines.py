@@ -2,7 +2,8 @@
 
 A line is a \\n-split part; it is compared as its sequence of words. A line of `least_words` or more is dropped if an earlier line (smaller
 doc_id, then smaller line number) has the same words, or, from `near_words` words on, if one word inserted, deleted or replaced
-makes them equal. Earlier lines count whether they stay or not.
+makes them equal. Earlier lines count whether they stay or not. The registered query sets both floors to 1: all lines with a word are judged,
+and as one edit turns any word into any other, all lines of one word but the first go.
 
 Two lines within one edit share a variant: both lose the word at the same place (replacement), or one loses a word and the
 other none (insertion). Variants are hashed keys. Replacement keys carry the place, so that all lines under one key are within the
@@ -39,7 +40,7 @@ def _signed(value: int) -> int:
 def _halves(words: list[bytes]) -> list[tuple[int, int]]:
     """(key, side): the ends of a line that one edit elsewhere leaves alone, at each length that a partner may have."""
     found = []
-    for n in {len(words) // 2, (len(words) - 1) // 2}:
+    for n in {len(words) // 2, (len(words) - 1) // 2} - {0}:
         found += [(_signed(_hash(b" ".join(words[:n]), n)), 0), (_signed(_hash(b" ".join(words[-n:]), n + (1 << 32))), 1)]
     return found
 
@@ -74,13 +75,16 @@ def _block(schema: str, rows: list[tuple]) -> pa.RecordBatch:
 
 def scan_lines(docs: DataFrame, least_words: int = LEAST_WORDS, near_words: int = NEAR_WORDS) -> DataFrame:
     """(doc_id, line, h, k0 .. k3): h is the hash of the words, null for lines too short to be judged; k0 to k3 are the keys of its halves, k0 null
-    for lines too short to be near another."""
+    for lines too short to be near another. A line of one or two words may share an empty half, which any line has: k3 alone, without k2, marks it."""
 
     def make(doc_id: int, line: int, words: list[bytes]) -> list[tuple]:
         n = len(words)
-        h = _signed(_hash(b" ".join(words))) if n >= least_words else None
-        keys = [k for k, _ in _halves(words)] if n >= near_words - 1 else []
-        return [(doc_id, line, h, *keys, *[None] * (4 - len(keys)))]
+        h = _signed(_hash(b" ".join(words))) if n >= min(least_words, near_words - 1) else None
+        keys: list[int | None] = [k for k, _ in _halves(words)] if n >= near_words - 1 else []
+        keys += [None] * (4 - len(keys))
+        if near_words - 1 <= n <= 2:
+            keys[0], keys[3] = h if keys[0] is None else keys[0], 0
+        return [(doc_id, line, h, *keys)]
 
     return _scan(docs, make, "doc_id long, line int, h long, k0 long, k1 long, k2 long, k3 long")
 
@@ -88,9 +92,11 @@ def scan_lines(docs: DataFrame, least_words: int = LEAST_WORDS, near_words: int
 def candidates(scanned: DataFrame) -> DataFrame:
     """(doc_id, line, first, second): earliest copies of lines that share a half with another line; first: the first half may differ."""
     distinct = scanned.where("k0 IS NOT NULL").groupBy("h").agg(F.min(F.struct("doc_id", "line", "k0", "k1", "k2", "k3")).alias("x")).select("x.*")
-    halves = distinct.select("doc_id", "line", F.posexplode(F.array("k0", "k1", "k2", "k3")).alias("side", "key")).where("key IS NOT NULL").withColumn("side", F.col("side") % 2)
+    sides = F.array("k0", "k1", "k2", F.when(F.col("k2").isNotNull(), F.col("k3")))
+    halves = distinct.select("doc_id", "line", F.posexplode(sides).alias("side", "key")).where("key IS NOT NULL").withColumn("side", F.col("side") % 2)
     shared = halves.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
-    return halves.join(shared, "key").groupBy("doc_id", "line").agg(F.max(F.col("side") == 1).alias("first"), F.max(F.col("side") == 0).alias("second"))
+    tiny = distinct.where("k2 IS NULL AND k3 IS NOT NULL").select("doc_id", "line", F.explode(F.array(F.lit(0), F.lit(1))).alias("side"))
+    return halves.join(shared, "key").select("doc_id", "line", "side").unionByName(tiny).groupBy("doc_id", "line").agg(F.max(F.col("side") == 1).alias("first"), F.max(F.col("side") == 0).alias("second"))
 
 
 def _variants(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -179,4 +185,4 @@ def deduplicate(docs: DataFrame, least_words: int = LEAST_WORDS, near_words: int
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return judge(table(spark, sf_dir, "documents", "doc_id", "text"))
+    return judge(table(spark, sf_dir, "documents", "doc_id", "text"), least_words=1, near_words=1)

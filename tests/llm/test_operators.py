@@ -287,6 +287,28 @@ def test_lines(docs, none):
     assert next(r["text"] for r in kept if r["doc_id"] == 11) == "again and again we say it\n"
 
 
+def test_lines_without_floors(spark, tmp_path):
+    """The registered query against brute force over short lines: every line with a word is judged."""
+    g = np.random.default_rng(11)
+    rows = [(i, "\n".join(" ".join(f"w{x}" for x in g.integers(0, 40, int(g.integers(1 + i % 2, 9)))) for _ in range(4)), None, None, None) for i in range(60)]
+    rows += [(100, "All rights reserved.\nsome other words here", None, None, None), (101, "fresh\nAll rights reserved.", None, None, None), (102, "one two three four five six\none two 3 four five six", None, None, None)]
+    rows += [(103, "menu item x\nmenu item", None, None, None), (104, rows[7][1], None, None, None)]
+    spark.createDataFrame(rows, SCHEMA).write.parquet(f"{tmp_path}/documents.parquet")
+    every = [(d, k, w) for d, text, *_ in rows for k, x in enumerate(text.split("\n")) if (w := words(x))]
+    dropped, exact = defaultdict(list), Counter()
+    for i, (d, k, w) in enumerate(every):
+        if any(lines.within_one(v, w) for _, _, v in every[:i]):
+            dropped[d].append(k)
+        exact[d] += any(v == w for _, _, v in every[:i])
+    got = {r["doc_id"]: r for r in lines.query(spark, str(tmp_path)).collect()}
+    assert {d: r["dropped"] for d, r in got.items()} == {r[0]: dropped[r[0]] for r in rows}
+    assert {d: r["n_exact"] for d, r in got.items()} == {r[0]: exact[r[0]] for r in rows}
+    for floor in (2, 3, 4):
+        want = {(d, k) for i, (d, k, w) in enumerate(every) if any(v == w or max(len(v), len(w)) >= floor and lines.within_one(v, w) for _, _, v in every[:i])}
+        found = lines.judge(spark.createDataFrame(rows, SCHEMA), 1, floor).collect()
+        assert {(r["doc_id"], k) for r in found for k in r["dropped"]} == want
+
+
 def test_within_one_against_edit_distance():
     g = np.random.default_rng(0)
     for _ in range(3000):

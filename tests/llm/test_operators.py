@@ -243,6 +243,25 @@ def test_sharding(spark, docs, none):
     assert sharding.assign(none).count() == 0
 
 
+@pytest.mark.parametrize("share", [0.9, 0.97])
+def test_sharding_keeps_groups_whole_among_many_copies(spark, share):
+    """Groups of 2 to 100 rows hold nearly all rows, one group a third of them; only that one is larger than a shard."""
+    g = np.random.default_rng(12)
+    rows, linked = 6000, []
+    linked = [0] * (rows // 3)
+    while len(linked) < share * rows:
+        linked += [len(linked)] * int(g.integers(2, 100))
+    names = [f"t{x}" for x in linked] + [f"u{i}" for i in range(max(0, rows - len(linked)))]
+    docs = spark.createDataFrame([(i, names[j]) for i, j in enumerate(g.permutation(len(names)).tolist())], "doc_id long, text string")
+    got = sharding.assign(docs).toPandas()
+    counts = got.groupby("shard").size()
+    assert sorted(got.doc_id) == list(range(len(names))) and counts.max() - counts.min() <= 1
+    for _, own in got.groupby("shard"):
+        assert sorted(own.slot) == list(range(len(own)))
+    parts = got[got.group_rows > 1].groupby("text_crc32").shard.nunique()
+    assert (parts > 1).sum() == 1 and parts.max() <= 4
+
+
 # --- repetition
 
 

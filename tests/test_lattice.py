@@ -75,6 +75,22 @@ def test_level_likelihood_is_near_the_count_without_errors():
     assert abs(est.mean() - 300) < 30
 
 
+def test_level_likelihood_is_whole_and_leaves_other_items_alone():
+    draw, base = np.random.default_rng(6), 1.1
+    law = Law(np.asarray([0.0, 3, 40, 700, 5000]), np.asarray([5, 4, 3, 2, 1]))
+    few = np.asarray([[logcounters.raised(n, base, draw) for _ in range(8)] for n in (2, 14, 49, 300, 2400)])
+    alone = logcounters.level_mle(few, law, base)
+    hot = np.asarray([[logcounters.raised(1_000_000, base, draw) for _ in range(8)]])
+    assert logcounters.level_mle(np.concatenate([few, hot]), law, base)[:5].tolist() == alone.tolist()
+    levels = int(few.max()) + 1
+    chance = np.zeros((6000, levels + 1))
+    for e, w in zip(law.x, law.m / law.n, strict=True):
+        chance += w * logcounters.level_table(np.arange(6000) + e, levels, base)
+    told = sum(np.log(chance[:, few[:, a]]) for a in range(8))
+    reached = told[alone.astype(int), np.arange(5)]
+    assert (alone == np.rint(alone)).all() and (reached >= told.max(axis=0) - 1e-5).all()
+
+
 def test_product_law_against_draws():
     x, y = Law(np.asarray([0.0, 2, 5, 9]), np.asarray([4, 3, 2, 1])), Law(np.asarray([0.0, 1, 7]), np.asarray([1, 1, 2]))
     zero, values, share = product_law(x.x, x.m, y.x, y.m)

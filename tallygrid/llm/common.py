@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -12,6 +11,11 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..sources.shared import shared_folder
+
+#: Keys that may be sent to all tasks because they hold more than one in so many of all rows: there can't be more of them.
+HOT_KEYS = 10_000
+
 #: Fixed value: the class of characters that the word rule of all operators leaves out.
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -24,11 +28,6 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
     return df.select(*columns) if columns else df
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """The folder that the cluster names for checkpoints; a temporary one only where none is named, as in tests."""
-    return spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-")
-
-
 def cut(df: DataFrame) -> DataFrame:
     """Write `df` to the shared checkpoint folder and go on from the files, so a lost executor costs no recomputation."""
     context = df.sparkSession.sparkContext
@@ -37,6 +36,18 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def join_by_key(rows: DataFrame, keyed: DataFrame, key: list[str], many: str, total: int, hot_keys: int = HOT_KEYS, how: str = "inner") -> DataFrame:
+    """`rows` joined (`how`: inner or left) to `keyed`, which has one row for each key and in `many` how many of the `total` rows hold it (dropped).
+
+    Keys that hold more than one in `hot_keys` of all rows are `hot_keys` at most, so they are sent to all tasks and their rows stay where they are; the
+    others are small, and meet their rows by shuffling. `rows` is read twice and ought to be a kept table.
+    """
+    least = -(-max(1, total) // hot_keys)
+    hot = F.broadcast(keyed.where(F.col(many) > least).drop(many))
+    cold = rows.join(hot.select(*key), key, "left_anti").join(keyed.where(F.col(many) <= least).drop(many), key, how)
+    return rows.join(hot, key).unionByName(cold)
+
+
 def held_out(doc_id: Column) -> Column:
     return F.crc32(doc_id.cast("string").cast("binary")) % 5 == 0
 
@@ -93,7 +104,7 @@ class WordIds(dict):
 
 
 def numbered(df: DataFrame, within: list[str], row: str, name: str, buckets: int = 256) -> DataFrame:
-    """Add `name`: the gapless number from 0 of each row inside its group `within`, by hash and value of `row`.
+    """Add `name`: the gapless number from 0 of each row inside its group `within`, by hash and value of `row`, which may be a struct.
 
     Two levels, so that a group of any size is counted by many tasks: numbers inside (group, bucket), plus the rows of
     earlier buckets of the group, of which there are `buckets` at most.

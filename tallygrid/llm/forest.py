@@ -9,11 +9,14 @@ for queries. The trees are fitted on at most `sample_rows` rows; every row is pu
 each leaf of the bounded forest, go to the driver; rows and queries meet by leaf, a leaf above `chunk_rows` rows in several chunks, and each
 chunk hands on the best `k` of each query.
 
-A query's leaves hold `breadth` times the rows of the table, counting a row once for each tree, and at least `least_rows`; data without
-clusters need much of it, and recall is measured against brute force in the tests.
+A query's leaves hold `breadth` times the rows of the table, counting a row once for each tree. Unless given, `breadth` is measured when the trees are fitted: rows
+of the sample are looked for among the others, and it is the least that finds the share `recall` of their true neighbours, at every size
+of table alike. In a larger table the nearest rows are nearer, so there it finds more. Data without clusters need much of it.
+
+A chunk of rows meets its queries in blocks of about `chunk_rows` as well, so neither side of a task grows with the table.
 
 Defined results: vectors that are null, zero, of another length than most, or that hold a null or non-finite part are neither queries nor candidates; rows
-without vec_id neither; rows that repeat a vec_id count once; an empty table gives an empty result.
+without vec_id neither; rows that repeat a vec_id are one row, with the least of their vectors; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -28,10 +31,10 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import sampled, table
+from .common import cut, sampled, table
 
 TREES, SAMPLE_ROWS, LEAF_SAMPLE, CHUNK_ROWS = 12, 20_000, 100, 4_096
-BREADTH, LEAST_ROWS = 1.0, 5_000
+RECALL, ASKED = 0.975, 200
 
 
 @dataclass
@@ -60,7 +63,7 @@ class Forest:
     def raised(self, x: np.ndarray) -> np.ndarray:
         return np.concatenate([x, np.sqrt(np.maximum(0, self.top**2 - (x * x).sum(1)))[:, None]], axis=1)
 
-    def search(self, x: np.ndarray, counts: np.ndarray, wanted: int, least: int) -> list[tuple[int, int]]:
+    def search(self, x: np.ndarray, counts: np.ndarray, wanted: float, least: int) -> list[tuple[int, int]]:
         """Leaves (tree, leaf) for one raised query, closest first: until their rows are `wanted`, and one tree's `least`."""
         side = np.einsum("tnd,d->tn", self.directions, x) - self.cuts
         queue = [(0.0, t, 0) for t in range(len(self.cuts))]
@@ -104,6 +107,26 @@ def fit(sample: np.ndarray, top: float, trees: int, leaf_sample: int, seed: int
     return forest
 
 
+def measured_breadth(forest: Forest, sample: np.ndarray, k: int, recall: float, asked: int = ASKED) -> float:
+    """Leaf rows to look at, in times the table's rows, so that `asked` rows of the sample find the share `recall` of their k nearest others in it."""
+    n = len(sample)
+    if n < 2:
+        return float(len(forest.cuts))
+    leaf = np.stack([forest.leaf(forest.raised(sample), t) for t in range(len(forest.cuts))])
+    counts = np.stack([np.bincount(own, minlength=forest.leaves) for own in leaf])
+    places = []
+    for q in np.unique(np.linspace(0, n - 1, min(asked, n)).astype(int)):
+        score = sample @ sample[q]
+        score[q] = -np.inf
+        near = np.argpartition(-score, min(k, n - 1) - 1)[: min(k, n - 1)]
+        order = forest.search(np.append(sample[q], 0.0), counts, np.inf, 0)
+        until = np.full(counts.shape, np.inf)  # rows looked at when a leaf has been
+        t, at = np.asarray(order).T
+        until[t, at] = np.cumsum(counts[t, at])
+        places.append(until[np.arange(len(leaf))[:, None], leaf[:, near]].min(axis=0))
+    return float(np.quantile(np.concatenate(places), recall, method="higher")) / n
+
+
 def usable(vector: Column) -> Column:
     finite = F.forall(vector, lambda e: e.isNotNull() & ~F.isnan(e) & (F.abs(e) < F.lit(float("inf"))))
     return vector.isNotNull() & finite & F.exists(vector, lambda e: e != 0)
@@ -145,19 +168,22 @@ def _best(queries: pa.Table, rows: pa.Table, k: int) -> pa.Table:
     return pa.table({"query_id": join(out_q, np.int64), "vec_id": join(out_r, np.int64), "score": join(out_s, np.float64)})
 
 
-def neighbours(vectors: DataFrame, queries: Column, k: int = 20, trees: int = TREES, sample_rows: int = SAMPLE_ROWS, leaf_sample: int = LEAF_SAMPLE, breadth: float = BREADTH, least_rows: int = LEAST_ROWS, chunk_rows: int = CHUNK_ROWS) -> DataFrame:
-    """query_id, rank, vec_id, score: the k nearest found of each row of `vectors` (vec_id, vector) for which `queries` holds."""
+def neighbours(vectors: DataFrame, queries: Column, k: int = 20, trees: int = TREES, sample_rows: int = SAMPLE_ROWS, leaf_sample: int = LEAF_SAMPLE, recall: float = RECALL, breadth: float | None = None, chunk_rows: int = CHUNK_ROWS) -> DataFrame:
+    """query_id, rank, vec_id, score: the k nearest found of each row of `vectors` (vec_id, vector) for which `queries`, a condition on vec_id, holds."""
     spark = vectors.sparkSession
     schema = "query_id long, rank int, vec_id long, score double"
     kind = dict(vectors.dtypes)["vector"]
     rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), "vector").where(F.col("vec_id").isNotNull() & usable(F.col("vector")))
-    sizes = rows.groupBy(F.size("vector").alias("d")).agg(F.count("*").alias("n"), F.max(F.sqrt(F.aggregate("vector", F.lit(0.0), lambda a, e: a + e.cast("double") * e.cast("double")))).alias("top")).orderBy(F.desc("n"), "d").limit(1).collect()
+    rows = cut(rows.groupBy("vec_id").agg(F.min("vector").alias("vector")))
+    sizes = rows.groupBy(F.size("vector").alias("d")).agg(F.count("*").alias("n"), F.count(F.when(queries, 1)).alias("asked"), F.max(F.sqrt(F.aggregate("vector", F.lit(0.0), lambda a, e: a + e.cast("double") * e.cast("double")))).alias("top")).orderBy(F.desc("n"), "d").limit(1).collect()
     if not sizes:
         return spark.createDataFrame([], schema)
-    dims, total, top = sizes[0]
+    dims, total, n_asked, top = sizes[0]
     rows = rows.where(F.size("vector") == dims)
-    sample = np.asarray([r[0] for r in sampled(rows, F.col("vec_id"), sample_rows, total).select("vector").limit(2 * sample_rows).collect()] or np.zeros((1, dims)))
-    forest = spark.sparkContext.broadcast(fit(sample, float(top), trees, leaf_sample))
+    sample = np.asarray([r[1] for r in sorted(sampled(rows, F.col("vec_id"), sample_rows, total).limit(2 * sample_rows).collect())] or np.zeros((1, dims)))
+    fitted = fit(sample, float(top), trees, leaf_sample)
+    wanted = (measured_breadth(fitted, sample, k, recall) if breadth is None else breadth) * total
+    forest = spark.sparkContext.broadcast(fitted)
 
     def index(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         f = forest.value
@@ -169,34 +195,37 @@ def neighbours(vectors: DataFrame, queries: Column, k: int = 20, trees: int = TR
 
     placed = rows.mapInArrow(index, f"vec_id long, vector {kind}, tree int, leaf int")
     counted = placed.groupBy("tree", "leaf").agg(F.count("*").alias("n")).collect()
-    counts = np.zeros((trees, forest.value.leaves), dtype=np.int64)
+    counts = np.zeros((trees, fitted.leaves), dtype=np.int64)
     for t, leaf, n in counted:
         counts[t, leaf] = n
-    wanted = max(least_rows, int(breadth * total))
     chunks = np.maximum(1, -(-counts // chunk_rows))
+    blocks = max(1, -(-n_asked // chunk_rows))  # a chunk may be asked by all queries
     plan = spark.sparkContext.broadcast((counts, chunks))
+    mix = lambda ids: (ids.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(33)
 
     def probe(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         f, (n, parts) = forest.value, plan.value
         for batch in batches:
             x = _matrix(batch.column("vector"))
+            block = mix(batch.column("vec_id").to_numpy()) % np.uint64(blocks)
             for i in range(len(x)):
                 leaves = f.search(np.append(x[i], 0.0), n, wanted, k + 1)
                 spots = [(t, leaf, c) for t, leaf in leaves for c in range(parts[t, leaf])]
                 at = pa.array(np.full(len(spots), i))
                 t, leaf, c = (pa.array(np.asarray(v, dtype=np.int32)) for v in zip(*spots, strict=True))
-                yield pa.RecordBatch.from_arrays([batch.column("vec_id").take(at), batch.column("vector").take(at), t, leaf, c], names=["query_id", "vector", "tree", "leaf", "chunk"])
+                yield pa.RecordBatch.from_arrays([batch.column("vec_id").take(at), batch.column("vector").take(at), t, leaf, c, pa.array(np.full(len(spots), block[i], np.int32))], names=["query_id", "vector", "tree", "leaf", "chunk", "block"])
 
     def chunked(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts = plan.value[1]
         for batch in batches:
             of = parts[batch.column("tree").to_numpy(), batch.column("leaf").to_numpy()]
-            mixed = (batch.column("vec_id").to_numpy().astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(33)
-            yield batch.append_column("chunk", pa.array((mixed % of.astype(np.uint64)).astype(np.int32)))
+            batch = batch.append_column("chunk", pa.array((mix(batch.column("vec_id").to_numpy()) % of.astype(np.uint64)).astype(np.int32)))
+            for b in range(blocks):
+                yield batch.append_column("block", pa.array(np.full(batch.num_rows, b, np.int32)))
 
-    asked = rows.where(queries).dropDuplicates(["vec_id"]).repartition(F.col("vec_id")).mapInArrow(probe, f"query_id long, vector {kind}, tree int, leaf int, chunk int")
-    dealt = placed.mapInArrow(chunked, f"vec_id long, vector {kind}, tree int, leaf int, chunk int")
-    key = ["tree", "leaf", "chunk"]
+    asked = rows.where(queries).repartition(F.col("vec_id")).mapInArrow(probe, f"query_id long, vector {kind}, tree int, leaf int, chunk int, block int")
+    dealt = placed.mapInArrow(chunked, f"vec_id long, vector {kind}, tree int, leaf int, chunk int, block int")
+    key = ["tree", "leaf", "chunk", "block"]
     best = asked.groupBy(*key).cogroup(dealt.groupBy(*key)).applyInArrow(lambda q, x: _best(q, x, k), "query_id long, vec_id long, score double")
     once = best.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))

@@ -7,8 +7,9 @@ share a band are candidates, and every link is confirmed on the full sets.
 Equal sets are one class from the start. Candidates are joined to the least class of their band bucket only, so no bucket is expanded into
 pairs. The components of these joins hold all candidates of all their members; each is checked by itself with an index from shingles to
 sets, and the check passes over one set at a time until all sets that weren't passed lie in one true component: then no link
-between two components can be left. A component of candidates beyond `group_shingles` is cut into parts, and each pair of parts is
-checked in a task of its own.
+between two components can be left. Unlike texts that share boilerplate can chain into a component of more than `group_shingles`; there only sets
+that share a bucket are compared, bucket by bucket, and buckets of the same sets once. A bucket that is larger still is cut into parts, and
+each pair of parts is checked in a task of its own.
 
 Defined results: texts that are null or without words have n_shingles 0, are linked with nothing and are kept; a text of fewer than five
 words is one shingle; rows that repeat a doc_id have the same component; rows without doc_id join no component (component_id null, kept
@@ -25,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import LOWER, WordHashes, cut, pieces, table, texts
+from .common import LOWER, WordHashes, cut, join_by_key, pieces, table, texts
 from .graph import components
 
 WORDS, PERCENT, BANDS, ROWS = 5, 75, 32, 5
@@ -182,6 +183,17 @@ def _check(group: pa.Table) -> pa.Table:
     return pa.table({"node": node[at], "root": roots[at]})
 
 
+def _by_bucket(members: DataFrame, buckets: DataFrame, group_shingles: int) -> DataFrame:
+    """(doc_id, node, hi, lo, part, bin): the groups in which members of large components are compared, one for each bucket and pair of its parts."""
+    held = cut(buckets.join(members, "node"))
+    sizes = held.groupBy("key").agg(F.sum("n_shingles").alias("weight"), F.count("*").alias("n"), F.sum(F.xxhash64("node").cast("decimal(38,0)")).alias("same"))
+    once = sizes.where("n > 1").groupBy("n", "same", "weight").agg(F.min("key").alias("key")).select("key", "n", F.ceil(F.col("weight") / group_shingles).cast("int").alias("parts"))
+    own = join_by_key(held, once, ["key"], "n", held.count()).withColumn("own", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int"))
+    own = own.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    part = F.xxhash64("key", F.least("own", "other"), F.greatest("own", "other"))
+    return own.select("doc_id", "node", "hi", "lo", part.alias("part"), part.alias("bin"))
+
+
 def near_duplicates(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, group_shingles: int = GROUP_SHINGLES) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row of `docs`."""
     signed = cut(sign(docs, bands, rows))
@@ -189,27 +201,28 @@ def near_duplicates(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, group
     classes = real.groupBy("hi", "lo").agg(F.min("doc_id").alias("doc_id"), F.first("n_shingles").alias("n_shingles"), F.first("bands").alias("bands"))
     classes = cut(classes.withColumn("node", F.monotonically_increasing_id()))
     buckets = classes.select("node", F.explode("bands").alias("key"))
-    heads = buckets.groupBy("key").agg(F.min("node").alias("head"), F.count("*").alias("n")).where("n > 1").select("key", "head")
-    closure = cut(components(buckets.join(heads, "key").where("node <> head").select(F.col("node").alias("a"), F.col("head").alias("b"))))
-
-    members = classes.drop("bands").join(closure, "node")
-    parts = members.groupBy("root").agg(F.ceil(F.sum("n_shingles") / group_shingles).cast("int").alias("parts"))
-    members = members.join(parts, "root").withColumn("own", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int"))
-    members = cut(members.select("node", "hi", "lo", "doc_id", "root", "parts", "own", "n_shingles"))
-    weight, most = members.agg(F.coalesce(F.sum("n_shingles"), F.lit(0)), F.coalesce(F.max("parts"), F.lit(1))).first()
+    heads = buckets.groupBy("key").agg(F.min("node").alias("head"), F.count("*").alias("n")).where("n > 1")
+    hung = join_by_key(buckets, heads, ["key"], "n", bands * classes.count())
+    closure = cut(components(hung.where("node <> head").select(F.col("node").alias("a"), F.col("head").alias("b"))))
+
+    members = cut(classes.drop("bands").join(closure, "node"))
+    weights = members.groupBy("root").agg(F.sum("n_shingles").alias("weight"), F.count("*").alias("n"))
+    members = cut(join_by_key(members, weights, ["root"], "n", members.count()).select("node", "hi", "lo", "doc_id", "root", "n_shingles", "weight"))
+    weight, most = members.agg(F.coalesce(F.sum("n_shingles"), F.lit(0)), F.coalesce(F.max("weight"), F.lit(0))).first()
     bins = int(max(1, -(-weight // group_shingles)))
-    # A small component goes to a bin with others; each pair of parts of a large one is a group of its own.
-    low, high = F.least("own", "other"), F.greatest("own", "other")
-    placed = members.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    placed = placed.withColumn("part", F.when(F.col("parts") == 1, F.col("root")).otherwise(F.xxhash64("root", low, high)))
-    placed = placed.withColumn("bin", F.when(F.col("parts") == 1, F.pmod(F.xxhash64("root"), F.lit(bins))).otherwise(F.col("part")))
+    # A small component goes to a bin with others; of a large one, each bucket is a group, or each pair of a bucket's parts.
+    placed = members.where(F.col("weight") <= group_shingles).select("doc_id", "node", "hi", "lo", F.col("root").alias("part"), F.pmod(F.xxhash64("root"), F.lit(bins)).alias("bin"))
+    if most > group_shingles:
+        large = members.where(F.col("weight") > group_shingles).select("node", "hi", "lo", "doc_id", "n_shingles")
+        placed = placed.unionByName(_by_bucket(large, buckets, group_shingles))
     named = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(placed.select("doc_id", "node", "hi", "lo", "part", "bin"), "doc_id")
     links = cut(named.select("bin", "part", "node", "hi", "lo", "text").groupBy("bin").applyInArrow(_check, "node long, root long"))
-    if most > 1:
+    if most > group_shingles:
         links = components(links.select(F.col("node").alias("a"), F.col("root").alias("b")))
-    roots = links.join(classes.select("node", "doc_id"), "node")
-    least = roots.groupBy("root").agg(F.min("doc_id").alias("component_id"))
-    by_class = classes.select("hi", "lo", "node", F.col("doc_id").alias("first_id")).join(roots.select("node", "root").join(least, "root"), "node", "left").select("hi", "lo", F.least(F.coalesce("component_id", "first_id"), "first_id").alias("component_id"))
+    roots = cut(links.join(classes.select("node", "doc_id"), "node"))
+    least = roots.groupBy("root").agg(F.min("doc_id").alias("component_id"), F.count("*").alias("n"))
+    named_roots = join_by_key(roots.select("node", "root"), least, ["root"], "n", roots.count())
+    by_class = classes.select("hi", "lo", "node", F.col("doc_id").alias("first_id")).join(named_roots, "node", "left").select("hi", "lo", F.least(F.coalesce("component_id", "first_id"), "first_id").alias("component_id"))
     alone = F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id"))
     found = signed.drop("bands").join(by_class, ["hi", "lo"], "left").withColumn("component_id", F.when(F.col("doc_id").isNotNull(), alone))
     return found.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(False)).alias("kept"))

@@ -5,12 +5,16 @@ for an address part, and so on). Rounds of a keyed alternating Feistel network a
 modulo these numbers: a permutation of all values of that format. Check digits are worked out anew, so a valid card
 number stays a valid card number; a date stays a date. Equal values have equal pseudonyms in all documents.
 
-Kinds and their checks: card (13 to 19 digits, check digit by doubling), IBAN (remainder 1 by 97), social security number
-(no zero group), phone (+1 and ten digits), IPv4 (parts to 255), ISO date (exists, years 1800 to 2199), e-mail (its local
-part). Candidates that fail their check stay as they are.
+Kinds and their checks: card (13 to 19 digits, check digit by doubling), IBAN (remainder 1 by 97; whole or printed in groups of four), social security number
+(no zero group), phone (+1 and ten digits), IPv4 (parts to 255), date (exists, years 1800 to 2199; yyyy-mm-dd, dd.mm.yyyy or dd/mm/yyyy, each permuted in its own
+format), e-mail (its local part). A run of digit groups that is no card as a whole is tried without up to two groups at either end. Candidates that fail their
+check stay as they are; a month before its day, and more than 19 digits in groups, are not looked into.
+
+The key is the caller's: whoever has it can undo the permutation. The registered query takes it from the session (`KEY_SETTING`) and, where none is set, uses a
+key named as not secret.
 
 Defined results: null text stays null with counts 0; a text without values is unchanged; repeated rows give repeated rows; an empty table gives
-an empty result; all other columns are handed on.
+an empty result; all other columns are handed on as they are, whatever their names. The kinds found are in a column of the caller's naming, which must be new.
 """
 
 from __future__ import annotations
@@ -21,12 +25,15 @@ from pyspark.sql import functions as F
 from .common import table
 
 ROUNDS = 8
+KEY_SETTING, OPEN_KEY = "spark.tallygrid.pseudonymKey", "not-secret"
+#: Hexadecimal digits of a mask, and masks in one 512-bit digest.
+MASK, MASKS = 6, 21
 #: The patterns of the kinds, most specific first.
 KINDS = {
     "email": r"[A-Za-z0-9][A-Za-z0-9._%+\-]*@[A-Za-z0-9\-]+(?:\.[A-Za-z0-9\-]+)*\.[A-Za-z]{2,}",
-    "iban": r"\b[A-Z]{2}[0-9]{2}[A-Z0-9]{11,30}\b",
+    "iban": r"\b[A-Z]{2}[0-9]{2}(?:[A-Z0-9]{11,30}|(?: [A-Z0-9]{4}){2,7}(?: [A-Z0-9]{1,3})?)\b",
     "phone": r"\+1 ?\(?[0-9]{3}\)?[ .\-]?[0-9]{3}[ .\-]?[0-9]{4}\b",
-    "date": r"\b(?:18|19|20|21)[0-9]{2}-[0-9]{2}-[0-9]{2}\b",
+    "date": r"\b(?:(?:18|19|20|21)[0-9]{2}-[0-9]{2}-[0-9]{2}|[0-3][0-9]([./])[01][0-9]\1(?:18|19|20|21)[0-9]{2})\b",
     "ssn": r"\b[0-9]{3}-[0-9]{2}-[0-9]{4}\b",
     "ip": r"(?<![0-9.])[0-9]{1,3}(?:\.[0-9]{1,3}){3}(?![0-9]|\.[0-9])",
     "card": r"(?<![0-9])[0-9](?:[ \-]?[0-9]){12,18}(?![0-9])",
@@ -47,13 +54,15 @@ def _feistel(symbols: Column, sizes: Column, key: str, kind: str) -> Column:
     def turn(state: Column, step: Column) -> Column:
         left = step % 2 == 0
         other = F.when(left, F.slice(state, half + 1, F.size(state))).otherwise(F.slice(state, 1, half))
-        digest = F.sha2(F.concat_ws("|", F.lit(key), F.lit(kind), F.size(state).cast("string"), step.cast("string"), F.concat_ws(",", other.cast("array<string>"))), 256)
+        digest = F.sha2(F.concat_ws("|", F.lit(key), F.lit(kind), F.size(state).cast("string"), step.cast("string"), F.concat_ws(",", other.cast("array<string>"))), 512)
 
-        def place(x: Column, i: Column) -> Column:
-            mask = F.conv(F.substr(F.sha2(F.concat_ws("|", digest, i.cast("string")), 256), F.lit(1), F.lit(12)), 16, 10).cast("long")
+        def place(x: Column, i: Column, own: Column) -> Column:
+            source = F.when(i < MASKS, own).otherwise(F.sha2(F.concat_ws("|", own, F.floor(i / MASKS).cast("string")), 512))
+            mask = F.conv(F.substr(source, (i % MASKS) * MASK + 1, F.lit(MASK)), 16, 10).cast("long")
             return F.when((i < half) == left, F.pmod(x + mask, F.element_at(sizes, (i + 1).cast("int")))).otherwise(x)
 
-        return F.transform(state, place)
+        # As the variable of an outer function the digest is worked out once a round, not once a place.
+        return F.get(F.transform(F.array(digest), lambda own: F.transform(state, lambda x, i: place(x, i, own))), F.lit(0))
 
     return F.aggregate(steps, symbols, turn)
 
@@ -83,11 +92,19 @@ def _luhn(digits: Column) -> Column:
 
 
 def _card(value: Column, key: str) -> Column:
+    ends = [(a, b) for a, b in sorted(((a, b) for a in range(3) for b in range(3)), key=sum)]
+    parts = [F.regexp_extract(value, rf"^((?:[0-9]+[ \-]){{{a}}})([0-9][0-9 \-]*?)((?:[ \-][0-9]+){{{b}}})$", n) for a, b in ends for n in (1, 2, 3)]
+    spans = F.array(*[F.struct(parts[k].alias("head"), parts[k + 1].alias("span"), parts[k + 2].alias("tail")) for k in range(0, len(parts), 3)])
+    valid = F.filter(spans, lambda s: F.length(_digits(s["span"])).between(13, 19) & (F.pmod(_luhn(_digits(s["span"])), F.lit(10)) == 0))
+    return F.get(F.transform(F.slice(valid, 1, 1), lambda s: F.concat(s["head"], _new_card(s["span"], key), s["tail"])), F.lit(0))
+
+
+def _new_card(value: Column, key: str) -> Column:
     digits = _digits(value)
     body = F.substr(digits, F.lit(1), F.length(digits) - 1)
     new = F.concat_ws("", _feistel(_longs(body), _tens(_longs(body)), key, "card").cast("array<string>"))
     check = F.pmod(F.lit(10) - F.pmod(_luhn(F.concat(new, F.lit("0"))), F.lit(10)), F.lit(10))
-    return F.when(F.pmod(_luhn(digits), F.lit(10)) == 0, _refill(value, F.concat(new, check.cast("string"))))
+    return _refill(value, F.concat(new, check.cast("string")))
 
 
 def _mod97(text: Column) -> Column:
@@ -97,11 +114,14 @@ def _mod97(text: Column) -> Column:
 
 
 def _iban(value: Column, key: str) -> Column:
-    country, body = F.substr(value, F.lit(1), F.lit(2)), F.substr(value, F.lit(5), F.length(value) - 4)
+    plain = F.regexp_replace(value, " ", "")
+    country, body = F.substr(plain, F.lit(1), F.lit(2)), F.substr(plain, F.lit(5), F.length(plain) - 4)
     new = _alike(body, key, "iban")
     check = F.lit(98) - _mod97(F.concat(new, country, F.lit("00")))
-    valid = _mod97(F.concat(body, F.substr(value, F.lit(1), F.lit(4)))) == 1
-    return F.when(valid, F.concat(country, F.lpad(check.cast("string"), 2, "0"), new))
+    valid = _mod97(F.concat(body, F.substr(plain, F.lit(1), F.lit(4)))) == 1
+    whole = F.concat(country, F.lpad(check.cast("string"), 2, "0"), new)
+    grouped = F.trim(F.regexp_replace(whole, "(.{4})", "$1 "))
+    return F.when(valid, F.when(value.contains(" "), grouped).otherwise(whole))
 
 
 def _alike(value: Column, key: str, kind: str) -> Column:
@@ -138,11 +158,16 @@ def _ip(value: Column, key: str) -> Column:
 
 
 def _date(value: Column, key: str) -> Column:
-    day = F.try_to_timestamp(value, F.lit("yyyy-MM-dd")).cast("date")
+    found = None
     first = F.lit("1800-01-01").cast("date")
-    number = F.datediff(day, first).cast("long")
-    moved = _feistel(F.array(F.floor(number / DAY_LOW), F.pmod(number, F.lit(DAY_LOW))), F.array(F.lit(DAY_HIGH).cast("long"), F.lit(DAY_LOW).cast("long")), key, "date")
-    return F.when(day.isNotNull(), F.date_format(F.date_add(first, (F.element_at(moved, 1) * DAY_LOW + F.element_at(moved, 2)).cast("int")), "yyyy-MM-dd"))
+    for shape in ("yyyy-MM-dd", "dd.MM.yyyy", "dd/MM/yyyy"):
+        day = F.try_to_timestamp(value, F.lit(shape)).cast("date")
+        number = F.datediff(day, first).cast("long")
+        moved = _feistel(F.array(F.floor(number / DAY_LOW), F.pmod(number, F.lit(DAY_LOW))), F.array(F.lit(DAY_HIGH).cast("long"), F.lit(DAY_LOW).cast("long")), key, "date")
+        new = F.when(day.isNotNull(), F.date_format(F.date_add(first, (F.element_at(moved, 1) * DAY_LOW + F.element_at(moved, 2)).cast("int")), shape))
+        is_it = value.contains(shape[2] if shape[2] != "y" else "-")
+        found = F.when(is_it, new) if found is None else found.when(is_it, new)
+    return found
 
 
 def _email(value: Column, key: str) -> Column:
@@ -162,22 +187,28 @@ def pseudonym(value: Column, key: str) -> Column:
     return found.otherwise(F.struct(F.lit(None).cast("string").alias("kind"), value.alias("new")))
 
 
-def pseudonymise(df: DataFrame, key: str = "pseudonyms", column: str = "text") -> DataFrame:
-    """`df` with `column` rewritten, and `pii_kinds`: the kinds of its replaced values, in order.
+def pseudonymise(df: DataFrame, key: str, column: str = "text", kinds: str = "pii_kinds") -> DataFrame:
+    """`df` with `column` rewritten, and `kinds`: the kinds of its replaced values, in order.
 
     Texts without a candidate, nearly all, skip the symbol work: values and gaps are found by one pattern, and the gaps are joined with the new
     values again.
     """
-    text = F.col(column)
-    likely = text.rlike("[0-9@]")
-    found = df.withColumn("__values", F.when(likely, F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0))))
+    if not key:
+        raise ValueError("pseudonyms need a key")
+    if kinds in df.columns:
+        raise ValueError(f"the table has a column {kinds} already: name another for the kinds")
+    text = F.col(f"__row.`{column}`")
+    rows = df.select(F.struct("*").alias("__row"))
+    found = rows.withColumn("__values", F.when(text.rlike("[0-9@]"), F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0))))
     found = found.withColumn("__new", F.when(F.size("__values") > 0, F.transform("__values", lambda v: pseudonym(v, key))))
     gaps = F.split(text, PATTERN, -1)
     joined = F.concat_ws("", F.zip_with(gaps, F.col("__new.new"), lambda g, n: F.concat(g, F.coalesce(n, F.lit("")))))
-    return found.withColumn(column, F.when(F.col("__new").isNotNull(), joined).otherwise(text)).withColumn("pii_kinds", F.coalesce(F.filter(F.col("__new.kind"), lambda k: k.isNotNull()), F.array().cast("array<string>"))).drop("__values", "__new")
+    new = F.when(F.col("__new").isNotNull(), joined).otherwise(text)
+    found_kinds = F.coalesce(F.filter(F.col("__new.kind"), lambda k: k.isNotNull()), F.array().cast("array<string>"))
+    return found.select(*[new.alias(c) if c == column else F.col(f"__row.`{c}`").alias(c) for c in df.columns], found_kinds.alias(kinds))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    done = pseudonymise(table(spark, sf_dir, "documents", "doc_id", "text"))
+    done = pseudonymise(table(spark, sf_dir, "documents", "doc_id", "text"), spark.conf.get(KEY_SETTING, None) or OPEN_KEY)
     counts = [(F.size("pii_kinds") - F.size(F.array_remove("pii_kinds", kind))).cast("long").alias(f"n_{kind}") for kind in KINDS]
     return done.select("doc_id", "text", F.size("pii_kinds").cast("long").alias("n_values"), *counts)

@@ -19,7 +19,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import cut, numbered, table
+from .common import cut, join_by_key, numbered, table
 
 BUCKETS = 256
 
@@ -126,7 +126,8 @@ def make_whole(state: DataFrame, capacity: list[int]) -> DataFrame:
 def assign(docs: DataFrame, shards: int = 8, rounds: int | None = None) -> DataFrame:
     """doc_id, size, text_crc32, law, shard, slot, grown_shard for every row of `docs`, and `group_rows`, the rows of its text."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    base = docs.select("doc_id", (F.octet_length(text) + 1).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), F.xxhash64(text).alias("g"), F.monotonically_increasing_id().alias("__row"))
+    base = docs.select("doc_id", (F.octet_length(text) + 1).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), F.xxhash64(text).alias("g"))
+    base = base.withColumn("__row", F.struct("doc_id", "g"))  # rows of one doc_id and text are alike, so any of them may take a place of theirs
     base = cut(base.withColumn("first", F.pmod(F.xxhash64(F.lit("shard"), "__row"), F.lit(shards)).cast("int")))
     total = base.count()
     capacity = [total // shards + (s < total % shards) for s in range(shards)]
@@ -138,7 +139,7 @@ def assign(docs: DataFrame, shards: int = 8, rounds: int | None = None) -> DataF
     # Parts become runs of the group's numbered rows; a row finds its run among the group's, which are as many as shards at most.
     order = Window.partitionBy("g").orderBy(F.desc("rows"), "shard").rowsBetween(Window.unboundedPreceding, 0)
     runs = state.withColumn("end", F.sum("rows").over(order)).groupBy("g").agg(F.sort_array(F.collect_list(F.struct("end", "shard"))).alias("runs"), F.sum("rows").alias("group_rows"))
-    with_runs = base.drop("first").join(runs, "g", "left")
+    with_runs = join_by_key(base.drop("first"), runs.withColumn("many", F.col("group_rows")), ["g"], "many", total, how="left")
     placed = numbered(with_runs.where("runs IS NOT NULL"), ["g"], "__row", "__pos")
     placed = placed.withColumn("shard", F.filter("runs", lambda x: x["end"] > F.col("__pos"))[0]["shard"]).drop("runs", "__pos")
     placed = cut(numbered(placed, ["shard"], "__row", "slot"))

@@ -2,7 +2,7 @@
 
 A line is a \\n-split part; it is compared as its sequence of words. A line of `least_words` or more is dropped if an earlier line (smaller
 doc_id, then smaller line number) has the same words, or, from `near_words` words on, if one word inserted, deleted or replaced
-makes them equal. Earlier lines count whether they stay or not. The registered query sets both floors to 1: all lines with a word are judged,
+makes them equal. Earlier lines count whether they stay or not. Both floors are 1 unless given: all lines with a word are judged,
 and as one edit turns any word into any other, all lines of one word but the first go.
 
 Two lines within one edit share a variant: both lose the word at the same place (replacement), or one loses a word and the
@@ -11,7 +11,8 @@ bound of each other, and an insertion key has one whole line. The earliest line
 all others: links are formed from each line to it alone, never between all pairs. Found links are verified on the words.
 
 One edit leaves the first or the second half of a line as it was. So before variants are made, halves are counted, and a line makes
-variants only for the half that may differ, and only if another line shares its other half.
+variants only for the half that may differ, and only if another line shares its other half. A variant's hash is a polynomial in the words' hashes, so it is
+put together from the hashes of what stands before and behind the lost word: the work of a line is proportional to its words.
 
 Defined results: null, empty and blank texts have no lines; blank lines are never dropped; rows that repeat a doc_id are one
 document, and the same line of it at the same place is one line; rows without doc_id take no part and are handed on unchanged; an empty table gives an
@@ -22,15 +23,19 @@ from __future__ import annotations
 
 from collections.abc import Iterable, Iterator
 
+import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import cut, pieces, table, texts
+from .common import WordHashes, cut, pieces, table, texts
 
-LEAST_WORDS, NEAR_WORDS = 5, 10
+LEAST_WORDS, NEAR_WORDS = 1, 1
 _hash = xxhash.xxh3_64_intdigest
+#: An odd base of the polynomial, and its inverse, modulo 2^64.
+_BASE = 0x9E3779B97F4A7C15
+_INVERSE = np.uint64(pow(_BASE, -1, 1 << 64))
 
 
 def _signed(value: int) -> int:
@@ -99,18 +104,39 @@ def candidates(scanned: DataFrame) -> DataFrame:
     return halves.join(shared, "key").select("doc_id", "line", "side").unionByName(tiny).groupBy("doc_id", "line").agg(F.max(F.col("side") == 1).alias("first"), F.max(F.col("side") == 0).alias("second"))
 
 
+def _finished(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(33))) * np.uint64(0xFF51AFD7ED558CCD)
+    return (x ^ (x >> np.uint64(29))).view(np.int64)
+
+
+def variant_keys(words: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Keys of whole lines, and of each line without each of its words; `words`: hashes of all lines' words, one line after the other."""
+    end = np.cumsum(size)
+    start = end - size
+    place = np.arange(len(words)) - np.repeat(start, size)
+    powers = np.ones(int(size.max(initial=1)), dtype=np.uint64)
+    powers[1:] = np.cumprod(np.full(len(powers) - 1, _BASE, dtype=np.uint64))
+    until = np.concatenate([np.zeros(1, np.uint64), np.cumsum(words * powers[place], dtype=np.uint64)])
+    before = until[:-1] - np.repeat(until[start], size)
+    behind = np.repeat(until[end], size) - until[1:]
+    return _finished(until[end] - until[start]), _finished(before + behind * _INVERSE)
+
+
 def _variants(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(key, place, doc_id, line): keys of a line without the word at `place`, and at place -1 of the whole line."""
-    for piece in pieces(batches, 500_000):
-        rows = []
-        for doc_id, line, first, second, text in zip(*[piece.column(c).to_pylist() for c in ("doc_id", "line", "first", "second")], texts(piece.column("text")), strict=True):
-            words = text.split(b" ")
-            half = len(words) // 2
-            rows.append((_signed(_hash(text)), -1, doc_id, line))
-            for p in range(0 if first else max(0, half - 1), len(words) if second else min(len(words), half + 1)):
-                rows.append((_signed(_hash(b" ".join(words[:p] + words[p + 1 :]))), p, doc_id, line))
-        if rows:
-            yield _block("key long, place int, doc_id long, line int", rows)
+    look = WordHashes().__getitem__
+    for piece in pieces(batches, 1_000_000):
+        found = [text.split(b" ") for text in texts(piece.column("text"))]
+        size = np.asarray([len(w) for w in found], dtype=np.int64)
+        hashes = np.fromiter((look(w) for line in found for w in line), dtype=np.uint64, count=int(size.sum()))
+        first, second = (np.asarray(piece.column(c).to_pylist(), dtype=bool) for c in ("first", "second"))
+        whole, less = variant_keys(hashes, size)
+        place = np.arange(len(hashes)) - np.repeat(np.cumsum(size) - size, size)
+        low, high = np.where(first, 0, np.maximum(0, size // 2 - 1)), np.where(second, size, np.minimum(size, size // 2 + 1))
+        at = np.flatnonzero((place >= np.repeat(low, size)) & (place < np.repeat(high, size)))
+        owner = np.concatenate([np.arange(len(size)), np.repeat(np.arange(len(size)), size)[at]])
+        key, spot = np.concatenate([whole, less[at]]), np.concatenate([np.full(len(size), -1), place[at]]).astype(np.int32)
+        yield pa.RecordBatch.from_arrays([pa.array(key), pa.array(spot), piece.column("doc_id").take(pa.array(owner)), piece.column("line").take(pa.array(owner))], names=["key", "place", "doc_id", "line"])
 
 
 def within_one(a: list[bytes], b: list[bytes]) -> bool:
@@ -173,16 +199,17 @@ def judge(docs: DataFrame, least_words: int = LEAST_WORDS, near_words: int = NEA
 def deduplicate(docs: DataFrame, least_words: int = LEAST_WORDS, near_words: int = NEAR_WORDS) -> DataFrame:
     """`docs`, all columns, without dropped lines, a column n_chars following the text; a document that loses all its lines with words goes.
 
-    With `least_words` 1 a later exact copy of a document goes whatever the length of its lines; a higher floor leaves it as a stub of its short lines.
+    With `least_words` 1 a later exact copy of a document goes whatever the length of its lines; a higher floor leaves it as a stub of its short lines. Further columns may have any
+    name, and are handed on as they are.
     """
-    verdicts = judge(docs, least_words, near_words).where(F.size("dropped") > 0).select(F.col("doc_id").alias("__id"), "dropped", "n_lines")
-    joined = docs.join(verdicts, F.col("doc_id").cast("long") == F.col("__id"), "left").where(F.col("dropped").isNull() | (F.size("dropped") < F.col("n_lines")))
-    kept = F.array_join(F.filter(F.split("text", "\n", -1), lambda x, i: ~F.array_contains(F.col("dropped"), i)), "\n")
-    joined = joined.withColumn("text", F.when(F.col("dropped").isNull(), F.col("text")).otherwise(kept))
-    if "n_chars" in docs.columns:
-        joined = joined.withColumn("n_chars", F.when(F.col("dropped").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
-    return joined.select(*docs.columns)
+    verdicts = judge(docs.select("doc_id", "text"), least_words, near_words).where(F.size("dropped") > 0).select(F.col("doc_id").alias("__id"), "dropped", "n_lines")
+    rows = docs.select(F.struct("*").alias("__row"))
+    joined = rows.join(verdicts, F.col("__row.doc_id").cast("long") == F.col("__id"), "left").where(F.col("dropped").isNull() | (F.size("dropped") < F.col("n_lines")))
+    kept = F.array_join(F.filter(F.split("__row.text", "\n", -1), lambda x, i: ~F.array_contains(F.col("dropped"), i)), "\n")
+    text = F.when(F.col("dropped").isNull(), F.col("__row.text")).otherwise(kept)
+    out = [F.col(f"__row.`{c}`").alias(c) if c not in ("text", "n_chars") else text.alias(c) if c == "text" else F.when(F.col("dropped").isNull(), F.col("__row.n_chars")).otherwise(F.length(kept).cast(docs.schema[c].dataType)).alias(c) for c in docs.columns]
+    return joined.select(*out)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return judge(table(spark, sf_dir, "documents", "doc_id", "text"), least_words=1, near_words=1)
+    return judge(table(spark, sf_dir, "documents", "doc_id", "text"))

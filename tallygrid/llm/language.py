@@ -7,7 +7,8 @@ which is where transitions are learned from. Words are then labelled by forward-
 marginals.
 
 A sequence is a line, cut after `SPAN` words; every word of the text is in one. Many sequences run side by side. The model is fitted
-on a bounded sample of documents outside the held-out fold, chosen by hash, none above `SAMPLE_CHARS` characters; all texts are labelled whole.
+on a bounded sample of documents outside the held-out fold: about `sample_docs`, as many of each language as of another where there are so many, chosen by hash. A text of any
+length teaches with `DRAWN` words, in runs of `RUN` from its beginning to its end, so what the driver gets is bounded; all texts are labelled whole.
 
 Defined results: null texts and texts without a letter are `und` with score 0; so are all texts if no language can be learned; ties go
 to the language that sorts first; repeated rows are labelled alike; an empty table gives an empty result.
@@ -18,6 +19,7 @@ from __future__ import annotations
 from collections import Counter
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -26,7 +28,7 @@ from pyspark.sql import functions as F
 
 from .common import WordIds, held_out, pieces, sampled, table, texts
 
-SAMPLE_DOCS, SAMPLE_CHARS, SAMPLE_WORDS = 2_000, 20_000, 120_000
+SAMPLE_DOCS, SAMPLE_WORDS, DRAWN, RUN = 2_000, 120_000, 480, 12
 BITS, ORDERS, SPAN, STEPS = 17, (1, 2, 3, 4), 128, 40
 LEXICON, LEXICON_COUNT = 1_000, 5
 #: ASCII: letters in lower case, line ends kept, all else but later bytes of UTF-8 a blank.
@@ -159,12 +161,12 @@ def train(documents: list[tuple[bytes, str]], steps: int = STEPS, most_words: in
     runs: list[list[tuple[list[bytes], int]]] = []
     budget = max(40, most_words // len(tokenised))
     for words, lang in tokenised:
-        own, at = [], int(rng.integers(0, max(1, len(words) - budget)))
-        stop = min(len(words), at + budget)
-        while at < stop:
+        own, at, taken = [], 0, 0
+        while taken < min(len(words), budget):  # a longer text's runs begin anywhere in it
             n = int(rng.integers(4, 13))
-            own.append((words[at : min(stop, at + n)], index[lang]))
-            at += n
+            at = int(rng.integers(0, max(1, len(words) - n + 1))) if len(words) > budget else taken
+            own.append((words[at : at + n], index[lang]))
+            taken += n
         runs.append(own)
     ids, gold, lengths = WordIds(), [], []
     tokens: list[int] = []
@@ -259,13 +261,33 @@ def label_texts(found: list[bytes | None], f: Field) -> tuple[np.ndarray, np.nda
     return best, score, count
 
 
+def drawn(text: bytes) -> bytes:
+    """`DRAWN` words of a text that has more, in runs spread evenly over the whole of it."""
+    words = text.translate(_LETTERS).split()
+    if len(words) <= DRAWN:
+        return b" ".join(words)
+    starts = np.linspace(0, len(words) - RUN, DRAWN // RUN).astype(int).tolist()
+    return b" ".join(w for at in starts for w in words[at : at + RUN])
+
+
 def fit(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> Field | None:
-    """Learn from `docs` (doc_id, text, lang); the caller leaves the held-out fold out."""
+    """Learn from `docs` (doc_id, text, lang); the caller leaves the held-out fold out. Rows that repeat a doc_id teach once."""
     able = docs.where("lang IS NOT NULL AND doc_id IS NOT NULL AND text IS NOT NULL")
-    rows = able.select("doc_id", "lang").count()
-    chosen = sampled(able, F.col("doc_id"), sample_docs, rows).where(F.length("text") <= SAMPLE_CHARS)
-    found = sorted((r["doc_id"], r["lang"], r["text"]) for r in chosen.select("doc_id", "lang", "text").limit(2 * sample_docs).collect())
-    return train([(text.encode(), lang) for _, lang, text in found])
+    counts = {r["lang"]: r["n"] for r in able.groupBy("lang").agg(F.count("*").alias("n")).collect()}
+    if not counts:
+        return None
+    share = max(1, sample_docs // len(counts))
+    chosen = reduce(DataFrame.unionByName, [sampled(able.where(F.col("lang") == lang), F.col("doc_id"), share, n) for lang, n in sorted(counts.items())])
+    once = chosen.groupBy("doc_id").agg(F.min(F.struct("lang", "text")).alias("x")).select("doc_id", "x.lang", "x.text")
+
+    def blocks(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for piece in pieces(batches):
+            some = pa.array([drawn(t) for t in texts(piece.column("text"))], pa.binary())
+            yield pa.RecordBatch.from_arrays([piece.column("doc_id"), piece.column("lang"), some], names=["doc_id", "lang", "words"])
+
+    kind = dict(once.dtypes)["doc_id"]
+    found = sorted((r["doc_id"], r["lang"], bytes(r["words"])) for r in once.mapInArrow(blocks, f"doc_id {kind}, lang string, words binary").collect())
+    return train([(words, lang) for _, lang, words in found])
 
 
 def identify(docs: DataFrame, f: Field | None) -> DataFrame:

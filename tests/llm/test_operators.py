@@ -1,6 +1,7 @@
 """Operators against brute force on small tables that hold nulls, empty and very long texts, ties, repeated rows and extra columns."""
 
 import re
+import time
 import zlib
 from collections import Counter, defaultdict
 
@@ -8,9 +9,11 @@ import duckdb
 import numpy as np
 import pandas as pd
 import pytest
+import xxhash
 from pyspark.sql import functions as F
 
 from tallygrid.llm import forest, language, lines, minhash, mixing, packing, pseudonyms, repetition, sharding, toxicity
+from tallygrid.llm.common import join_by_key
 from tallygrid.llm.graph import components
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -35,7 +38,7 @@ def nasty_rows():
 
 @pytest.fixture(scope="module")
 def docs(spark):
-    return spark.createDataFrame(nasty_rows(), SCHEMA).withColumns({c: F.lit(1) for c in ("size", "score", "hi", "key", "part", "node", "shard", "g")}).cache()
+    return spark.createDataFrame(nasty_rows(), SCHEMA).withColumns({c: F.lit(1) for c in ("size", "score", "hi", "key", "part", "node", "shard", "g", "row", "predicted", "dropped", "n_lines", "target", "length", "u")}).cache()
 
 
 @pytest.fixture(scope="module")
@@ -72,6 +75,31 @@ def test_forest(spark):
     assert found.query_id.nunique() == 150 and np.mean(hits) >= 0.9
 
 
+def test_forest_copies_of_every_row(spark, sf):
+    """Rows that repeat a vec_id are one row: with 30 copies of each the answer is that of one."""
+    rows = spark.read.parquet(f"{sf}/embeddings.parquet").select("vec_id", F.col("embedding").alias("vector"), F.lit(1).alias("leaf"), F.lit(1).alias("tree"), F.lit(0.5).alias("score"))
+    many = rows.withColumn("n", F.explode(F.sequence(F.lit(1), F.lit(30)))).drop("n")
+    ask = F.col("vec_id") % 20 == 0
+    one, other = (sorted(map(tuple, forest.neighbours(df, ask).collect())) for df in (rows, many))
+    assert one == other
+    found = rows.select("vec_id", "vector").toPandas().sort_values("vec_id")
+    ids, x = found.vec_id.to_numpy(), np.stack(found.vector).astype(float)
+    want = set()
+    for i in np.flatnonzero(ids % 20 == 0):
+        s = x @ x[i]
+        s[i] = -np.inf
+        want |= {(ids[i], v) for v in ids[np.lexsort((ids, -s))][:20]}
+    assert len(want & {(r[0], r[2]) for r in one}) >= 0.95 * len(want)
+
+
+def test_forest_in_blocks(spark):
+    """Small chunks on both sides change nothing."""
+    g = np.random.default_rng(6)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(g.standard_normal((900, 8)))], "vec_id long, vector array<double>")
+    a, b = (sorted(map(tuple, forest.neighbours(df, F.col("vec_id") % 3 == 0, k=5, chunk_rows=c).collect())) for c in (4096, 64))
+    assert [r[:3] for r in a] == [r[:3] for r in b]
+
+
 def test_forest_small_and_empty(spark):
     df = spark.createDataFrame([(0, [1.0, 0.0]), (20, [0.5, 0.0]), (3, [0.5, 0.0])], "vec_id long, vector array<double>")
     assert [tuple(r) for r in forest.neighbours(df, F.col("vec_id") % 20 == 0).orderBy("query_id", "rank").collect()] == [(0, 1, 3, 0.5), (0, 2, 20, 0.5), (20, 1, 0, 0.5), (20, 2, 3, 0.25)]
@@ -151,6 +179,27 @@ def test_components(spark):
     assert components(edges.where("false")).count() == 0
 
 
+def test_components_with_hot_nodes(spark):
+    """Paths, stars and a ring, all keys hot or none: the same answer as by hand."""
+    pairs = [(i, i + 1) for i in range(40)] + [(100, 101 + i) for i in range(50)] + [(400, 300 + i) for i in range(50)] + [(500 + i, 500 + (i + 1) % 30) for i in range(30)]
+    edges = spark.createDataFrame(pairs, "a long, b long")
+    parent = {x: x for p in pairs for x in p}
+    for _ in range(60):
+        for a, b in pairs:
+            parent[a] = parent[b] = min(parent[a], parent[b])
+    for hot in (1, 5, 10_000):
+        assert {r["node"]: r["root"] for r in components(edges, hot).collect()} == parent
+
+
+def test_join_by_key(spark):
+    rows = spark.createDataFrame([(i % 7 if i % 3 else 0, i) for i in range(300)] + [(99, 1000)], "k long, v long")
+    keyed = rows.where("k < 99").groupBy("k").agg(F.count("*").alias("n"), F.max("v").alias("top"))
+    want = {tuple(r) for r in rows.join(keyed.drop("n"), "k", "left").select("k", "v", "top").collect()}
+    for hot in (1, 3, 10_000):
+        assert {tuple(r) for r in join_by_key(rows, keyed, ["k"], "n", 301, hot, "left").select("k", "v", "top").collect()} == want
+        assert {tuple(r) for r in join_by_key(rows, keyed, ["k"], "n", 301, hot).select("k", "v", "top").collect()} == {r for r in want if r[0] < 99}
+
+
 # --- pseudonyms
 
 
@@ -159,7 +208,7 @@ TEXT = "call +1 (988) 555-2485 or 4111 1111 1111 1111, born 1980-02-29 not 1981-
 
 def test_pseudonyms(spark):
     df = spark.createDataFrame([(1, TEXT, 0), (2, None, 0), (3, "none here", 0), (4, "again 4111 1111 1111 1111", 0)], "doc_id long, text string, size int")
-    rows = {r["doc_id"]: r for r in pseudonyms.pseudonymise(df).collect()}
+    rows = {r["doc_id"]: r for r in pseudonyms.pseudonymise(df, "k").collect()}
     new = rows[1]["text"]
     assert Counter(rows[1]["pii_kinds"]) == Counter(["phone", "card", "date", "ssn", "ip", "iban", "email"])
     assert re.sub("[0-9a-z]", "x", new[:22]) == re.sub("[0-9a-z]", "x", TEXT[:22])
@@ -178,9 +227,38 @@ def test_pseudonyms(spark):
 def test_pseudonyms_are_a_permutation(spark):
     """Distinct values stay distinct: all addresses of a small format."""
     ips = spark.range(3000).select((F.col("id")).alias("doc_id"), F.concat_ws(".", F.lit("10"), F.lit("0"), (F.col("id") / 256).cast("int"), F.col("id") % 256).alias("text"))
-    assert pseudonyms.pseudonymise(ips).select("text").distinct().count() == 3000
+    assert pseudonyms.pseudonymise(ips, "k").select("text").distinct().count() == 3000
     days = spark.range(3000).select("id", F.date_format(F.date_add(F.lit("1990-01-01").cast("date"), F.col("id").cast("int")), "yyyy-MM-dd").alias("text"))
-    assert pseudonyms.pseudonymise(days).select("text").distinct().count() == 3000
+    assert pseudonyms.pseudonymise(days, "k").select("text").distinct().count() == 3000
+
+
+def test_pseudonyms_in_groups_and_other_dates(spark):
+    texts = {
+        1: "4111 1111 1111 1111 123", 2: "12 4111 1111 1111 1111", 3: "iban DE89 3704 0044 0532 0130 00 BANK", 4: "am 31.12.1999 und 31/12/1999, nicht 31.02.1999 oder 31.12/1999",
+        5: "local.part.that.is.very.long.indeed.and.goes.on.for.quite.a.while.x@example.com",
+    }
+    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    new = {r["doc_id"]: r for r in pseudonyms.pseudonymise(df, "k").collect()}
+    assert new[1]["pii_kinds"] == new[2]["pii_kinds"] == ["card"] and new[3]["pii_kinds"] == ["iban"] and new[4]["pii_kinds"] == ["date", "date"] and new[5]["pii_kinds"] == ["email"]
+    assert new[1]["text"][:19] == new[2]["text"][3:] and new[1]["text"].endswith(" 123") and new[2]["text"].startswith("12 ") and "4111" not in new[1]["text"]
+    iban = re.search("DE[0-9 ]{24,}", new[3]["text"])[0].replace(" ", "")
+    assert new[3]["text"].endswith(" BANK") and re.fullmatch("iban DE[0-9]{2}( [0-9]{4}){4} [0-9]{2} BANK", new[3]["text"]) and int("".join(str(int(c, 36)) for c in iban[4:] + iban[:4])) % 97 == 1
+    assert re.fullmatch(r"am [0-3]\d\.[01]\d\.\d{4} und [0-3]\d/[01]\d/\d{4}, nicht 31.02.1999 oder 31.12/1999", new[4]["text"]) and "31.12.1999" not in new[4]["text"]
+    assert len(new[5]["text"]) == len(texts[5]) and new[5]["text"] != texts[5] and new[5]["text"].endswith("@example.com")
+
+
+def test_pseudonyms_on_odd_tables(spark, docs, none):
+    for key in ("", None):
+        with pytest.raises(ValueError):
+            pseudonyms.pseudonymise(docs, key)
+    named = docs.withColumn("pii_kinds", F.lit("mine"))
+    with pytest.raises(ValueError):
+        pseudonyms.pseudonymise(named, "k")
+    kept = pseudonyms.pseudonymise(named, "k", kinds="found").select("doc_id", "text", "pii_kinds", "key").collect()
+    assert Counter((r["doc_id"], r["text"]) for r in kept) == Counter((r[0], r[1]) for r in nasty_rows()) and {r["pii_kinds"] for r in kept} == {"mine"}
+    assert pseudonyms.pseudonymise(none, "k").count() == 0
+    long = spark.createDataFrame([(1, "word " * 40_000 + "4111 1111 1111 1111")], "doc_id long, text string")
+    assert pseudonyms.pseudonymise(long, "k").first()["pii_kinds"] == ["card"]
 
 
 # --- mixing
@@ -243,6 +321,12 @@ def test_sharding(spark, docs, none):
     assert sharding.assign(none).count() == 0
 
 
+def test_sharding_does_not_depend_on_the_layout(spark, docs):
+    many = docs.unionByName(docs.where("doc_id = 6").withColumn("doc_id", F.explode(F.sequence(F.lit(100), F.lit(300)))).select(*docs.columns))
+    a, b = (Counter(map(tuple, sharding.assign(df.select("doc_id", "text")).collect())) for df in (many, many.repartition(7, F.rand(1))))
+    assert a == b
+
+
 @pytest.mark.parametrize("share", [0.9, 0.97])
 def test_sharding_keeps_groups_whole_among_many_copies(spark, share):
     """Groups of 2 to 100 rows hold nearly all rows, one group a third of them; only that one is larger than a shard."""
@@ -289,7 +373,7 @@ def test_repetition(docs, none):
 
 
 def test_lines(docs, none):
-    got = {r["doc_id"]: r for r in lines.judge(docs).collect()}
+    got = {r["doc_id"]: r for r in lines.judge(docs, 5, 10).collect()}
     every = []
     for doc_id, text in sorted({(r[0], r[1] or "") for r in nasty_rows() if r[0] is not None}):
         every += [(doc_id, k, tuple(w)) for k, x in enumerate(text.split("\n")) if (w := words(x))]
@@ -301,7 +385,7 @@ def test_lines(docs, none):
             dropped[d].append(k)
     assert {d: r["dropped"] for d, r in got.items()} == {r[0]: dropped[r[0]] for r in nasty_rows() if r[0] is not None}
     assert lines.judge(none).count() == 0
-    kept = lines.deduplicate(docs).select("doc_id", "text").collect()
+    kept = lines.deduplicate(docs, 5, 10).select("doc_id", "text", "dropped").collect()
     assert {r["doc_id"] for r in kept} >= {1, 2, 3, 4, 5, 6, 10, 13, 14, None} and not {7, 8} & {r["doc_id"] for r in kept}
     assert next(r["text"] for r in kept if r["doc_id"] == 11) == "again and again we say it\n"
 
@@ -328,6 +412,22 @@ def test_lines_without_floors(spark, tmp_path):
         assert {(r["doc_id"], k) for r in found for k in r["dropped"]} == want
 
 
+def test_variant_keys_against_the_lines_themselves():
+    """Equal keys just for equal rests, whatever the lines' lengths; a very long line is quick."""
+    g = np.random.default_rng(8)
+    lines_ = [g.integers(0, 3, int(g.integers(1, 7))).tolist() for _ in range(300)]
+    hashes = {w: np.uint64(xxhash.xxh3_64_intdigest(bytes([w]))) for w in range(3)}
+    size = np.asarray([len(x) for x in lines_])
+    whole, less = lines.variant_keys(np.asarray([hashes[w] for x in lines_ for w in x], dtype=np.uint64), size)
+    rests = [tuple(x) for x in lines_] + [(*x[:p], *x[p + 1 :]) for x in lines_ for p in range(len(x))]
+    keys = [*whole.tolist(), *less.tolist()]
+    assert len(set(rests)) == len(set(keys)) == len(set(zip(rests, keys, strict=True)))
+    words_ = g.integers(0, 2**63, 64_000).astype(np.uint64)
+    began = time.perf_counter()
+    lines.variant_keys(words_, np.asarray([64_000]))
+    assert time.perf_counter() - began < 0.5
+
+
 def test_within_one_against_edit_distance():
     g = np.random.default_rng(0)
     for _ in range(3000):
@@ -361,6 +461,18 @@ def test_language_edges(docs):
     assert f.labels[best[0]] == "de" and 0.5 < score[0] < 0.9 and n[0] == 9
 
 
+def test_language_from_long_texts_only(spark):
+    """Texts of any length teach, from all their parts; a rare language has as many as it has."""
+    words_ = {"en": "the of and to in that", "de": "der die und das ist nicht"}
+    rows = [(i, " ".join(["1"] * 5 + words_[k].split() * 9000), k) for i, k in enumerate(["en"] * 6 + ["de"])]
+    f = language.fit(spark.createDataFrame(rows, "doc_id long, text string, lang string"))
+    assert f.labels == ["de", "en"]
+    got = {r["doc_id"]: r["lang_pred"] for r in language.identify(spark.createDataFrame([(1, "und das ist"), (2, "that of the")], "doc_id long, text string"), f).collect()}
+    assert got == {1: "de", 2: "en"}
+    tail = b"a " * 5000 + b"tail " * 2500
+    assert b"tail" in language.drawn(tail) and len(language.drawn(tail).split()) == language.DRAWN
+
+
 def test_forward_backward_against_all_paths():
     g = np.random.default_rng(0)
     e, moves, first = g.standard_normal((2, 7)), g.standard_normal((2, 2)), g.standard_normal(2)
@@ -425,6 +537,57 @@ def test_vector_best_fit(choice):
         assert offsets[bins == b][at].tolist() == [0, *np.cumsum(own[at])[:-1]]
 
 
+def plain_best_fit(sizes, capacity, weights):
+    """All bins, one by one: the state with the least weighted norm of what would be left."""
+    full, bins, out = np.asarray(capacity, float), [], []
+    for n in sizes.tolist():
+        need = (n, 1, n * n)
+        fits = [(float(((np.asarray(b) - need) / full) ** 2 @ np.asarray(weights)), k) for k, b in enumerate(bins) if all(x >= y for x, y in zip(b, need, strict=True)) and min(b) > 0]
+        k = min(fits)[1] if fits else len(bins)
+        if not fits:
+            bins.append(tuple(capacity))
+        out.append(tuple(np.round(np.asarray(bins[k]) - need).astype(int)))
+        bins[k] = tuple(x - y for x, y in zip(bins[k], need, strict=True))
+    return len(bins), out
+
+
+@pytest.mark.parametrize("weights", [(1.0, 1.0, 1.0), (1.0, 0.0, 0.0), (0.2, 1.0, 3.0)])
+def test_vector_best_fit_against_brute_force(weights):
+    """Every piece goes where trying all bins would put it, by what is left there in all three parts."""
+    sizes = np.sort(np.random.default_rng(3).integers(1, 1025, 300))[::-1]
+    capacity = (1024, 6, 1024 * 1024)
+    bins, offsets = packing.vector_best_fit(sizes, capacity, weights)
+    many, want = plain_best_fit(sizes, capacity, weights)
+    left, got = {}, []
+    for b, n in zip(bins.tolist(), sizes.tolist(), strict=True):
+        left[b] = tuple(x - y for x, y in zip(left.get(b, capacity), (n, 1, n * n), strict=True))
+        got.append(left[b])
+    score = lambda s: float((np.asarray(s) / np.asarray(capacity)) ** 2 @ np.asarray(weights))
+    assert bins.max() + 1 == many and [score(s) for s in got] == pytest.approx([score(s) for s in want])
+
+
+def test_weighing_all_parts_costs_no_sequences(spark):
+    """The registered weights need no more sequences than plain best fit, and one more than the tokens' least at most."""
+    g = np.random.default_rng(5)
+    for draw in (g.integers(1, 1024, 4000), np.minimum(1023, g.geometric(1 / 300, 4000)), g.choice([1, 2, 5, 700], 4000)):
+        sizes = np.sort(draw)[::-1]
+        alike, tokens = (packing.vector_best_fit(sizes, (1024, 1024, 1 << 20), w)[0].max() + 1 for w in ((1.0, 1.0, 1.0), (1.0, 0.0, 0.0)))
+        assert alike <= tokens + 1
+    spread = np.sort(np.minimum(1023, g.geometric(1 / 300, 4000)))[::-1]
+    assert packing.vector_best_fit(spread, (1024, 1024, 1 << 20))[0].max() + 1 <= -(-spread.sum() // 1024) + 2
+
+
+def test_packing_with_an_attention_limit(spark, docs):
+    """Pieces are cut to what a sequence may cost, and no sequence costs more."""
+    import public_tokenizers
+
+    got = packing.pack(docs, packing.tokenizer_path("byte_bpe_50k.json"), packing.tokenizer_path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN, most_documents=4, most_attention=300_000, group_rows=50).toPandas()
+    by = got.assign(cost=got.length**2).groupby("sequence_id").agg(n=("length", "size"), tokens=("length", "sum"), cost=("cost", "sum"))
+    assert by.n.max() <= 4 and by.tokens.max() <= 1024 and by.cost.max() <= 300_000
+    for _, own in got.sort_values("offset").groupby("sequence_id"):
+        assert own.offset.tolist() == [0, *own.length.cumsum().tolist()[:-1]]
+
+
 # --- toxicity
 
 
@@ -443,16 +606,69 @@ def test_toxicity(spark):
     assert toxicity.fit(docs, labels.where("toxic = 0")).intercept < 0 and toxicity.fit(none, labels.where("false")).intercept < 0
 
 
-def test_swaps_lower_the_scores_of_neutral_mentions(spark):
-    """Half of the toxic texts name one group; regularised, a neutral mention of it scores lower."""
+@pytest.mark.parametrize("balance", [1.0, 5.0, 20.0])
+def test_swaps_lower_the_scores_of_neutral_mentions(spark, balance):
+    """Half of the toxic texts name one group; regularised, a neutral mention of it scores lower, and what is toxic is found as before."""
     g = np.random.default_rng(1)
     say = lambda n: " ".join(f"w{i}" for i in g.integers(0, 300, n))
     rows = [(i, say(30) + (" idiot" if i % 4 == 0 and i % 3 else "") + (" muslim" if i % 4 == 0 and i % 8 == 0 or i % 40 == 1 else "")) for i in range(800)]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     labels = spark.createDataFrame([(i, int(i % 4 == 0)) for i in range(800)], "doc_id long, toxic int")
     neutral = spark.createDataFrame([(1, "w1 w2 muslim w3")], "doc_id long, text string")
-    free, bound = (toxicity.score(neutral, toxicity.fit(docs, labels, balance=b), "doc_id").first()["score"] for b in (0.0, 20.0))
-    assert bound < 0.6 * free
+    free, bound = (toxicity.fit(docs, labels, balance=b) for b in (0.0, balance))
+    weights = np.asarray([*bound.weights.values(), bound.intercept])
+    assert np.isfinite(weights).all() and np.abs(weights).max() < 50
+    scores = [toxicity.score(neutral, m, "doc_id").first()["score"] for m in (free, bound)]
+    assert 0.001 < scores[1] < 0.6 * scores[0]
+    clear = docs.where("doc_id % 4 != 0 OR doc_id % 3 != 0")  # the others are toxic by their mention alone
+    right = [sum(r["predicted"] == (r["doc_id"] % 4 == 0) for r in toxicity.score(clear, m, "doc_id").collect()) for m in (free, bound)]
+    assert right[1] >= 0.99 * right[0] and right[1] >= 0.95 * clear.count()
+
+
+def test_training_reaches_the_least_of_its_loss():
+    """More steps change nothing: the penalty's gradient is that of the stated loss, at a small and at a large balance."""
+    g = np.random.default_rng(2)
+    row, col = np.repeat(np.arange(60), 5), g.integers(0, 12, 300)
+    y = (g.random(60) < 0.4).astype(float)
+    value = np.append(g.normal(0, 1, 11), 0.0)
+    changes = [(i, [int(col[5 * i])], [int(g.integers(0, 12))]) for i in range(0, 60, 3)]
+
+    def loss(m, balance):
+        u = np.asarray([m.weights.get(k, 0.0) for k in range(12)])
+        z = m.intercept + np.bincount(row, weights=u[col], minlength=60)
+        move = np.asarray([u[c[2]].sum() - u[c[1]].sum() for c in changes])
+        v = np.where(value != 0, u / np.where(value != 0, value, 1), 0)
+        return float(np.mean(np.logaddexp(0, z) - y * z) + balance / 60 * move @ move + (1e-4 + 1 / y.sum() ** 2) / 2 * v @ v)
+
+    for balance in (0.0, 1.0, 50.0):
+        some, many = (loss(toxicity.train(row, col, y, np.ones(60), changes, value, balance=balance, steps=n), balance) for n in (400, 4000))
+        assert many <= some + 1e-12 and some - many < 1e-4
+        best = toxicity.train(row, col, y, np.ones(60), changes, value, balance=balance, steps=20_000)
+        for k in range(11):
+            for off in (-1e-3, 1e-3):
+                moved = toxicity.Model(best.intercept, best.weights | {k: best.weights.get(k, 0.0) + off})
+                assert loss(moved, balance) >= loss(best, balance) - 1e-9
+
+
+def test_few_toxic_labels_predict_nothing_toxic(spark):
+    """As the docstring says: under about 25 toxic labels no score reaches one half, and with more they do."""
+    g = np.random.default_rng(4)
+    say = lambda n: " ".join(f"w{i}" for i in g.integers(0, 300, n))
+    docs = spark.createDataFrame([(i, say(40) + (" idiot moron scum" if i % 8 == 0 else "")) for i in range(800)], "doc_id long, text string")
+    for most, caught in ((40, 0), (800, 100)):
+        model = toxicity.fit(docs, spark.createDataFrame([(i, int(i % 8 == 0)) for i in range(most)], "doc_id long, toxic int"))
+        assert toxicity.score(docs, model, "doc_id").agg(F.sum("predicted")).first()[0] == caught
+
+
+def test_reject_with_clashing_names_and_long_texts(spark, docs, none):
+    model = toxicity.Model(-3.0, {toxicity.buckets(b"changed")[0]: 9.0})
+    kept = toxicity.reject(docs.withColumn("huge", F.repeat(F.lit("word "), 30_000)), model)
+    assert kept.columns == [*docs.columns, "huge"] and Counter(r["doc_id"] for r in kept.select("doc_id").collect()) == Counter(r[0] for r in nasty_rows() if r[0] != 8)
+    assert {(r["score"], r["predicted"]) for r in kept.select("score", "predicted").collect()} == {(1, 1)}
+    assert toxicity.reject(none, model).count() == 0
+
+
+# --- the pipeline
 
 
 def test_pipeline(spark, sf):
@@ -464,6 +680,45 @@ def test_pipeline(spark, sf):
     assert kept.columns == docs.columns and 0.8 * docs.count() < kept.count() <= docs.count()
 
 
+def test_stages_on_odd_rows(spark, docs, none, tmp_path):
+    """Nulls, empty and long texts, repeated rows and clashing names through the whole chain, each stage on what the one before kept."""
+    import corpus_pipeline
+
+    spark.createDataFrame([(i, 1, 0) for i in range(20, 40)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    rows = docs.withColumn("extra", F.col("doc_id"))
+    every = Counter(r[0] for r in nasty_rows())
+    left = {}
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, rows, str(tmp_path))
+        assert out.columns == rows.columns, name
+        out.write.parquet(f"{tmp_path}/{name}")
+        rows = spark.read.parquet(f"{tmp_path}/{name}")
+        found = rows.collect()
+        assert all(r["extra"] == r["doc_id"] and r["score"] == 1 and r["dropped"] == 1 for r in found), name
+        left[name] = Counter(r["doc_id"] for r in found)
+    assert left["toxicity"] == every
+    assert {7, 8} & set(left["line_dedup"]) == set() and {1, 2, 3, None, 10} <= set(left["line_dedup"])  # 7 and 8 say nothing new
+    assert set(left["minhash_near_dedup"]) <= set(left["line_dedup"]) and {1, 2, 3, None, 10} <= set(left["minhash_near_dedup"])
+    assert max(left["source_mixing"].values()) <= 6  # three times at most, and document 6 is there twice
+    packed = corpus_pipeline.pack_sequences(spark, rows, str(tmp_path)).toPandas()
+    assert packed[packed.piece == 0].shape[0] == sum(left["source_mixing"].values())
+    for _, stage in corpus_pipeline.STAGES:
+        assert stage(spark, none, str(tmp_path)).count() == 0
+
+
+def test_pipeline_near_copies_that_keep_their_lines(spark, sf):
+    """A near copy in one line goes at the near-duplicate stage; line dedup leaves it, as more than one word differs."""
+    import corpus_pipeline
+
+    g = np.random.default_rng(3)
+    base = [f"x{i}" for i in g.integers(0, 900, 200)]
+    near = base.copy()
+    near[20], near[150] = "other", "words"
+    docs = spark.createDataFrame([(1, " ".join(base), "en", "a", 0), (2, " ".join(near), "en", "a", 0), (3, " ".join(base[::-1]), "en", "a", 0)], SCHEMA)
+    once = corpus_pipeline.dedup_lines(spark, docs, sf)
+    assert once.count() == 3 and {r["doc_id"] for r in corpus_pipeline.dedup_documents(spark, once, sf).collect()} == {1, 3}
+
+
 def test_pipeline_drops_exact_copies_with_short_lines(spark, sf, tmp_path):
     import corpus_pipeline
 

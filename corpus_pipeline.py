@@ -6,11 +6,10 @@ last hand on the columns of `documents`. A document that the mix takes n times h
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 
 from tallygrid.llm import common, lines, minhash, mixing, packing, toxicity
+from tallygrid.sources.shared import place
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -20,7 +19,7 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Lines that repeat an earlier line, or from ten words on are within one word of one, go, and documents of which nothing is left; n_chars follows the text."""
-    return lines.deduplicate(docs, least_words=1)
+    return lines.deduplicate(docs, least_words=1, near_words=10)
 
 
 def dedup_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -53,7 +52,7 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over `documents`, each written as Parquet to the shared folder and read again."""
     docs = common.table(spark, sf_dir, "documents")
-    shared = f"{common.shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
+    shared = place(spark, "pipeline")
     for k, (name, stage) in enumerate(STAGES[:-1]):
         stage(spark, docs, sf_dir).write.parquet(f"{shared}/{k}-{name}")
         docs = spark.read.parquet(f"{shared}/{k}-{name}")

@@ -162,24 +162,89 @@ def mle(v: np.ndarray, spline: LogSpline, bounded: bool = True) -> np.ndarray:
     return out
 
 
-def posterior(v: np.ndarray, log_f, log_prior=None, floor: float = 40.0) -> tuple[np.ndarray, np.ndarray]:
-    """(counts, probabilities) of one item with integer counters v; counts `floor` nats below the best are left out."""
-    n = np.arange(0, int(v.min()) + 1, dtype=np.float64)
+def mle_counts(v: np.ndarray, spline: LogSpline) -> tuple[np.ndarray, np.ndarray]:
+    """(evaluations, ties) of `mle` for each row: how many different counts its objective is evaluated at, and whether more than one of them is best."""
+    v = np.asarray(v, dtype=np.float64)
+    many, tied = np.empty(len(v), dtype=np.int64), np.empty(len(v), dtype=bool)
+    for i, row in enumerate(v):
+        spots = np.unique(np.append(np.minimum((row[:, None] - spline.t).ravel(), row.min()), row.min()))
+        value = spline(np.maximum(row[None, :] - spots[:, None], 0.0)).sum(axis=1)
+        good = value >= value.max() - 1e-9 * max(1.0, abs(value.max()))
+        many[i], tied[i] = len(spots), good.sum() > 1
+    return many, tied
+
+
+def _window(v: np.ndarray, shape, floor: float) -> tuple[int, int]:
+    """The counts between which the concave sum of shape(x - n) is within `floor` of its best, by halving; up to the smallest counter."""
+    top = int(v.min())
+    value = lambda n: float(np.sum(shape(v - n)))
+    low, high = 0, top
+    while high - low > 2:  # the best count, by thirds
+        a, b = low + (high - low) // 3, high - (high - low) // 3
+        low, high = (a, high) if value(a) < value(b) else (low, b)
+    best = max(range(low, high + 1), key=value)
+    least = value(best) - floor
+    ends = []
+    for end in (0, top):
+        inside, outside = best, end
+        if value(end) >= least:
+            inside = outside
+        while abs(outside - inside) > 1:
+            middle = (inside + outside) // 2
+            inside, outside = (middle, outside) if value(middle) >= least else (inside, middle)
+        ends.append(inside)
+    return ends[0], ends[1]
+
+
+def posterior(v: np.ndarray, log_f, log_prior=None, floor: float = 40.0, most: int = 32_768) -> tuple[np.ndarray, np.ndarray]:
+    """(counts, probabilities) of one item with integer counters v; counts `floor` nats below the best are left out.
+
+    The window is found before anything is listed, so a counter of 10^9 costs no more than its law's spread. A window of more than `most` counts is thinned
+    to so many, each with the probability of the counts around it. log_f is concave, but for an atom at 0 (`ZeroAtom`), which counts equal to a
+    counter meet.
+    """
+    v = np.asarray(v, dtype=np.float64)
+    shape, slack = log_f, 0.0
+    if hasattr(log_f, "share"):
+        shape, slack = log_f.rest, 0.0
+    if log_prior is not None:
+        ends = np.unique(np.concatenate([[0.0], np.floor(np.geomspace(1, max(1.0, v.min()), 80))]))
+        told = log_prior(ends)
+        slack += float(told.max() - told.min())
+    low, high = _window(v, shape, floor + slack) if shape is not None else (int(v.min()), int(v.min()))
+    if high - low < most:
+        n, width = np.arange(low, high + 1, dtype=np.float64), np.ones(high - low + 1)
+    else:
+        n = np.unique(np.rint(np.linspace(low, high, most)))
+        edge = np.concatenate([[low - 0.5], (n[1:] + n[:-1]) / 2, [high + 0.5]])
+        width = np.diff(edge)
+    if hasattr(log_f, "share"):
+        own = np.unique(v[v <= v.min()])
+        n, width = np.append(n[~np.isin(n, own)], own), np.append(width[~np.isin(n, own)], np.ones(len(own)))
+        order = np.argsort(n)
+        n, width = n[order], width[order]
     value = sum(log_f(x - n) for x in v) + (log_prior(n) if log_prior is not None else 0.0)
     keep = value >= value.max() - floor
-    p = np.exp(value[keep] - value.max())
+    p = np.exp(value[keep] - value.max()) * width[keep]
     return n[keep], p / p.sum()
 
 
 def bayes(n: np.ndarray, p: np.ndarray, loss: str = "l2", c: float = 10.0) -> float:
-    """The count with the least expected loss: `l2` mean, `l1` median, `01` mode, `capped` absolute error up to c."""
+    """The count with the least expected loss: `l2` mean, `l1` median, `01` mode, `capped` absolute error up to c (ties: the smallest)."""
     if loss == "l2":
         return float(n @ p)
     if loss == "l1":
         return float(n[np.searchsorted(np.cumsum(p), 0.5 - 1e-12)])
     if loss == "01":
-        return float(n[np.argmax(p)])
-    return float(n[np.argmin([np.minimum(np.abs(n - x), c) @ p for x in n])])
+        return float(n[np.flatnonzero(p >= p.max() * (1 - 1e-9))[0]])
+    # Running sums of p and of n p tell the near part's expected error; all else costs c.
+    mass, first = np.append(0.0, np.cumsum(p)), np.append(0.0, np.cumsum(p * (n - n[0])))
+    a, b = np.searchsorted(n, n - c, side="left"), np.searchsorted(n, n + c, side="right")
+    at, off = np.arange(len(n)), n - n[0]
+    below = off * (mass[at] - mass[a]) - (first[at] - first[a])
+    above = (first[b] - first[at]) - off * (mass[b] - mass[at])
+    cost = below + above + c * (1 - (mass[b] - mass[a]))
+    return float(n[np.flatnonzero(cost <= cost.min() + 1e-12)[0]])
 
 
 def credible(n: np.ndarray, p: np.ndarray, level: float) -> tuple[float, float]:

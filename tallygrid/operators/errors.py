@@ -2,17 +2,35 @@
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.statistics import order_statistic_cdf
 from .grid import CounterGrid, incidence
 
-#: Distinct counter values up to which a law may be held on the driver.
-MOST_ATOMS = 4_000_000
+#: Atoms up to which a law may be held on the driver, 16 bytes each; more are gathered to so many of equal mass.
+MOST_ATOMS = 10_000_000
+#: Steps of the running sums' coarse level in each factor of two.
+STEPS = 1024
+
+
+def cumulated(df: DataFrame, *sums: str, order: str = "v") -> DataFrame:
+    """Add `cum` (one column), or cum_<name> of each column: its running sum by `order`, in two levels.
+
+    The coarse level is the logarithm of the value, which keeps the order; it has STEPS rows for each factor of two, a bounded number. So no task holds
+    all rows however many there are.
+    """
+    level = (F.signum(order) * F.floor(F.log2(F.abs(F.col(order).cast("double")) + 1) * STEPS)).cast("long")
+    rows = df.withColumn("__level", level)
+    earlier = Window.orderBy("__level").rowsBetween(Window.unboundedPreceding, -1)
+    starts = rows.groupBy("__level").agg(*[F.sum(c).alias(f"__{c}") for c in sums]).select("__level", *[F.coalesce(F.sum(f"__{c}").over(earlier), F.lit(0)).alias(f"__{c}") for c in sums])
+    inside = Window.partitionBy("__level").orderBy(order).rowsBetween(Window.unboundedPreceding, 0)
+    name = lambda c: "cum" if len(sums) == 1 else f"cum_{c}"
+    found = rows.select("*", *[F.sum(c).over(inside).alias(f"__in_{c}") for c in sums]).join(F.broadcast(starts), "__level")
+    return found.select(*df.columns, *[(F.col(f"__in_{c}") + F.col(f"__{c}")).alias(name(c)) for c in sums])
 
 
 def error_hist(grid: CounterGrid, without: DataFrame | None = None) -> DataFrame:
@@ -27,7 +45,7 @@ def error_hist(grid: CounterGrid, without: DataFrame | None = None) -> DataFrame
     else:
         zero = cells.agg(F.count("*").alias("n")).select(F.lit(0).cast("long").alias("v"), (total - F.col("n")).alias("m"))
     by_value = cells.groupBy("v").agg(F.count("*").alias("m")).unionByName(zero).groupBy("v").agg(F.sum("m").cast("long").alias("m")).where("m > 0")
-    return by_value.withColumn("cum", F.sum("m").over(Window.orderBy("v").rowsBetween(Window.unboundedPreceding, 0)))
+    return cumulated(by_value, "m")
 
 
 @dataclass(frozen=True)
@@ -57,7 +75,7 @@ class Law:
         if mode != "exact":
             return self.quantile(i / (r + 1) if mode == "plugin" else i / r)
         at = np.cumsum(self.m) / self.n
-        g = np.asarray([order_statistic_cdf(p, i, r) for p in at]) if i > 1 else 1 - (1 - at) ** r
+        g = sum(math.comb(r, j) * at**j * (1 - at) ** (r - j) for j in range(i, r + 1)) if i > 1 else 1 - (1 - at) ** r
         return float(self.x @ np.diff(g, prepend=0.0))
 
     def without(self, values: np.ndarray) -> Law:
@@ -75,13 +93,58 @@ class Law:
         return float(np.abs(f(self) - f(other)).max())
 
 
-def law(hist: DataFrame) -> Law:
-    """The histogram on the driver; it has one row for each distinct value, r x k at most."""
-    rows = hist.select("v", "m").limit(MOST_ATOMS + 1).collect()
-    if len(rows) > MOST_ATOMS:
-        raise ValueError("too many distinct counters for the driver: fold or sample the grid")
-    rows.sort()
-    return Law(np.asarray([r[0] for r in rows], dtype=np.float64), np.asarray([r[1] for r in rows], dtype=np.int64))
+def law(hist: DataFrame, most: int = MOST_ATOMS) -> Law:
+    """The histogram (v, m) on the driver. It has one row for each distinct value; beyond `most` of them, neighbours are gathered on the cluster to about
+    `most` means of equal mass, which moves no quantile by more than the share of one."""
+    hist = hist.select("v", "m")
+    rows, total = hist.agg(F.count("*"), F.sum("m")).first()
+    if rows > most:
+        part = F.floor((F.col("cum") - F.col("m")).cast("double") / F.lit(float(total)) * most)
+        hist = cumulated(hist, "m").groupBy(part.alias("part")).agg((F.sum(F.col("v").cast("double") * F.col("m")) / F.sum("m")).alias("v"), F.sum("m").alias("m"))
+    found = hist.select(F.col("v").cast("double").alias("v"), F.col("m").cast("long").alias("m")).toArrow()
+    x, m = (found.column(c).to_numpy() for c in ("v", "m"))
+    order = np.argsort(x, kind="stable")
+    return Law(x[order], m[order])
+
+
+def columns(grid: CounterGrid) -> DataFrame:
+    """(idx, v): the r counters at each place, empty ones included: k samples of r counters."""
+    spec = grid.spec
+    wide = grid.df.groupBy("idx").agg(*[F.sum(F.when(F.col("rep") == a, F.col("v")).otherwise(0)).alias(f"v{a}") for a in range(spec.r)])
+    every = grid.df.sparkSession.range(spec.k).select(F.col("id").alias("idx")).join(wide, "idx", "left")
+    return every.select("idx", F.array(*[F.coalesce(F.col(f"v{a}"), F.lit(0)).cast("long") for a in range(spec.r)]).alias("v"))
+
+
+def column_hist(grid: CounterGrid, statistic) -> DataFrame:
+    """(v, m, cum): the law of a statistic over the grid's columns."""
+    values = columns(grid).select(statistic(F.col("v")).alias("v")).groupBy("v").agg(F.count("*").alias("m"))
+    return cumulated(values, "m")
+
+
+def hist_quantile(hist: DataFrame, p: Column) -> DataFrame:
+    """(p, q): the value of rank ceil(p n)."""
+    n = F.broadcast(hist.agg(F.sum("m").alias("n")))
+    return hist.crossJoin(n).where(F.col("cum") >= F.ceil(p * F.col("n"))).agg(F.min("v").alias("q"))
+
+
+def ks(self, other: Law) -> float:
+        at = np.union1d(self.x, other.x)
+        f = lambda law: np.append(0, np.cumsum(law.m))[np.searchsorted(law.x, at, side="right")] / law.n
+        return float(np.abs(f(self) - f(other)).max())
+
+
+def law(hist: DataFrame, most: int = MOST_ATOMS) -> Law:
+    """The histogram (v, m) on the driver. It has one row for each distinct value; beyond `most` of them, neighbours are gathered on the cluster to about
+    `most` means of equal mass, which moves no quantile by more than the share of one."""
+    hist = hist.select("v", "m")
+    rows, total = hist.agg(F.count("*"), F.sum("m")).first()
+    if rows > most:
+        part = F.floor((F.col("cum") - F.col("m")).cast("double") / F.lit(float(total)) * most)
+        hist = cumulated(hist, "m").groupBy(part.alias("part")).agg((F.sum(F.col("v").cast("double") * F.col("m")) / F.sum("m")).alias("v"), F.sum("m").alias("m"))
+    found = hist.select(F.col("v").cast("double").alias("v"), F.col("m").cast("long").alias("m")).toArrow()
+    x, m = (found.column(c).to_numpy() for c in ("v", "m"))
+    order = np.argsort(x, kind="stable")
+    return Law(x[order], m[order])
 
 
 def columns(grid: CounterGrid) -> DataFrame:
@@ -95,7 +158,7 @@ def columns(grid: CounterGrid) -> DataFrame:
 def column_hist(grid: CounterGrid, statistic) -> DataFrame:
     """(v, m, cum): the law of a statistic over the grid's columns."""
     values = columns(grid).select(statistic(F.col("v")).alias("v")).groupBy("v").agg(F.count("*").alias("m"))
-    return values.withColumn("cum", F.sum("m").over(Window.orderBy("v").rowsBetween(Window.unboundedPreceding, 0)))
+    return cumulated(values, "m")
 
 
 def hist_quantile(hist: DataFrame, p: Column) -> DataFrame:
@@ -107,6 +170,6 @@ def hist_quantile(hist: DataFrame, p: Column) -> DataFrame:
 def ks(a: DataFrame, b: DataFrame) -> DataFrame:
     """(ks): the largest gap between two histograms' distribution functions."""
     both = a.select("v", F.col("m").alias("ma")).join(b.select("v", F.col("m").alias("mb")), "v", "full_outer").fillna(0, ["ma", "mb"])
-    run, every = Window.orderBy("v").rowsBetween(Window.unboundedPreceding, 0), Window.partitionBy()
-    gap = F.sum("ma").over(run) / F.sum("ma").over(every) - F.sum("mb").over(run) / F.sum("mb").over(every)
-    return both.select(F.abs(gap).alias("gap")).agg(F.max("gap").alias("ks"))
+    every = F.broadcast(both.agg(F.sum("ma").alias("na"), F.sum("mb").alias("nb")))
+    gap = F.col("cum_ma") / F.col("na") - F.col("cum_mb") / F.col("nb")
+    return cumulated(both, "ma", "mb").crossJoin(every).select(F.abs(gap).alias("gap")).agg(F.max("gap").alias("ks"))

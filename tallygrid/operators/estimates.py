@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -46,31 +47,67 @@ def debiased_order(probed: DataFrame, errors: Law, i: int, r: int, level: float
     return _shifted(probed, t_order(i)(F.col("v")), errors.order_mean(i, r, mode), low, high, truncate)
 
 
-def debiased_min_own_out(probed: DataFrame, hist: DataFrame, r: int, truncate: bool = True) -> DataFrame:
-    """The minimum less its exact mean under the error law without the item's own counters.
+class OwnOut:
+    """The law of the least of r errors when an item's own r counters are left out of the grid's law.
 
-    The law is one small table of atoms; own atoms are taken out of its running counts item by item.
+    The own counters part the law's atoms into r + 1 stretches; inside each, a constant number of them is left out. Prefix sums for each such number
+    give every item's mean from its stretches' ends, so an item costs r look-ups and not a pass over the atoms.
     """
-    atoms = F.broadcast(hist.agg(F.sort_array(F.collect_list(F.struct("v", "cum"))).alias("atoms"), F.sum("m").alias("n")))
-    with_law = probed.crossJoin(atoms)
-    left = (F.col("n") - F.lit(r)).cast("double")
-    own = lambda y: F.size(F.filter("v", lambda x: x <= y))
-    tail = lambda a: F.pow(F.lit(1.0) - (a["cum"] - own(a["v"])).cast("double") / left, F.lit(float(r)))
-    start = F.struct(F.lit(0.0).alias("mean"), F.lit(1.0).alias("tail"))
-    step = lambda s, a: F.struct((s["mean"] + a["v"].cast("double") * (s["tail"] - tail(a))).alias("mean"), tail(a).alias("tail"))
-    mean = F.aggregate("atoms", start, step, lambda s: s["mean"])
-    raw = t_min(F.col("v")) - mean
-    return with_law.select("item", (F.greatest(F.lit(0.0), raw) if truncate else raw).alias("est"))
-
-
-def min_interval_own_out(probed: DataFrame, hist: DataFrame, r: int, level: float = 0.95) -> DataFrame:
+
+    def __init__(self, errors: Law, r: int):
+        self.x, self.cum, self.r, self.left = errors.x, np.cumsum(errors.m), r, errors.n - r
+        self.sums = np.empty((r + 1, len(self.x) + 1))
+        for j in range(r + 1):
+            self.sums[j] = np.append(0.0, np.cumsum(self.x * -np.diff(self.tail(np.append(0, self.cum), j), prepend=1.0)[1:]))
+
+    def tail(self, cum: np.ndarray, out: np.ndarray | int) -> np.ndarray:
+        """P(all of r draws lie beyond) where `out` own counters aren't."""
+        return (1 - np.clip((cum - out) / self.left, 0, 1)) ** self.r
+
+    def means(self, v: np.ndarray) -> np.ndarray:
+        s = np.sort(v, axis=1)
+        at = np.searchsorted(self.x, s)  # the atoms of own counters; equal ones meet in one
+        n = len(self.x)
+        before = np.append(0, self.cum)
+        total = self.sums[0][at[:, 0]].copy()
+        for j in range(1, self.r + 1):
+            here = at[:, j - 1]
+            onward = at[:, j] if j < self.r else np.full(len(s), n)
+            first = here if j == 1 else np.where(here == at[:, j - 2], -1, here)
+            out_before = np.sum(at < here[:, None], axis=1)  # own counters before this atom
+            out_here = np.sum(at <= here[:, None], axis=1)
+            atom = self.x[here] * (self.tail(before[here], out_before) - self.tail(before[here + 1], out_here))
+            total += np.where(first >= 0, atom, 0.0)
+            total += np.where(onward > here, self.sums[j][np.maximum(onward, here + 1)] - self.sums[j][here + 1], 0.0)
+        return total
+
+    def quantiles(self, v: np.ndarray, p: float) -> np.ndarray:
+        """The ceil(p n)-th smallest of the n counters that are left."""
+        at = np.searchsorted(self.x, np.sort(v, axis=1))
+        rank = min(self.left, max(1, int(np.ceil(p * self.left - 1e-9))))
+        spot = np.searchsorted(self.cum, np.full(len(v), rank))
+        for _ in range(self.r):  # each own counter at or before the spot moves the rank on by one
+            spot = np.searchsorted(self.cum, rank + (at <= spot[:, None]).sum(axis=1))
+        return self.x[np.minimum(spot, len(self.x) - 1)]
+
+
+def _own_out(probed: DataFrame, errors: Law, r: int, kernel, names: str) -> DataFrame:
+    from .likelihood import by_item
+
+    sent = probed.sparkSession.sparkContext.broadcast(OwnOut(errors, r))
+    return by_item(probed, lambda v: kernel(sent.value, v), names)
+
+
+def debiased_min_own_out(probed: DataFrame, errors: Law, r: int, truncate: bool = True) -> DataFrame:
+    """The minimum less its exact mean under the error law without the item's own counters."""
+    cut = (lambda e: np.maximum(0.0, e)) if truncate else (lambda e: e)
+    return _own_out(probed, errors, r, lambda law_, v: [cut(v.min(axis=1) - law_.means(v))], "est")
+
+
+def min_interval_own_out(probed: DataFrame, errors: Law, r: int, level: float = 0.95) -> DataFrame:
     """item, est, lo, hi: the one-sided interval of the minimum under the error law without the item's own counters."""
-    atoms = F.broadcast(hist.agg(F.sort_array(F.collect_list(F.struct("v", "cum"))).alias("atoms"), F.sum("m").alias("n")))
-    need = F.ceil(F.lit(beta_quantile(level, 1, r)) * (F.col("n") - F.lit(r)) - F.lit(1e-9))
-    own = lambda y: F.size(F.filter("v", lambda x: x <= y))
-    width = F.element_at(F.filter("atoms", lambda a: a["cum"] - own(a["v"]) >= need), 1)["v"]
-    low = t_min(F.col("v"))
-    return probed.crossJoin(atoms).select("item", low.alias("est"), F.greatest(F.lit(0), low - width).alias("lo"), low.alias("hi"))
+    p = beta_quantile(level, 1, r)
+    return _own_out(probed, errors, r, lambda law_, v: [v.min(axis=1), np.maximum(0.0, v.min(axis=1) - law_.quantiles(v, p)), v.min(axis=1)], "est lo hi")
 
 
 def markov_width(n_total: float, r: int, k: int, level: float) -> float:

@@ -7,15 +7,18 @@ from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.hashing import GridSpec, cell
 
-#: Cells up to which a grid may be broadcast for probing; 8 bytes each, so 64 MB.
-BROADCAST_CELLS = 8_000_000
+#: Cells up to which a grid may be broadcast for probing. A joined cell takes about 40 bytes in the hash table of its replicate, so all tables together are 160 MB.
+BROADCAST_CELLS = 4_000_000
 #: Cells of one chunk of a dense partial grid.
 CHUNK = 1 << 16
+#: Chunks that one task adds up at a time.
+FAN = 64
 
 
 @dataclass(frozen=True)
@@ -48,6 +51,7 @@ def build_grid_dense(df: DataFrame, spec: GridSpec) -> CounterGrid:
     With many rows for each cell and task, rows sent shrink from rows x r to r x k / CHUNK per task.
     """
     indexed = df.select(*[cell(F.col("item"), a, spec).alias(f"i{a}") for a in range(spec.r)], "c")
+    schema = "rep int, at long, task long, cells binary"
 
     def add_up(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums = np.zeros((spec.r, spec.k), dtype=np.int64)
@@ -55,19 +59,29 @@ def build_grid_dense(df: DataFrame, spec: GridSpec) -> CounterGrid:
             c = batch.column("c").to_numpy()
             for a in range(spec.r):
                 np.add.at(sums[a], batch.column(f"i{a}").to_numpy(), c)
+        task = TaskContext.get().partitionId()
         for a in range(spec.r):
             for at in range(0, spec.k, CHUNK):
                 part = sums[a, at : at + CHUNK]
                 if part.any():
-                    yield pa.RecordBatch.from_arrays([pa.array([a], pa.int32()), pa.array([at], pa.int64()), pa.array([part.tobytes()], pa.binary())], names=["rep", "at", "cells"])
+                    yield pa.RecordBatch.from_arrays([pa.array([a], pa.int32()), pa.array([at], pa.int64()), pa.array([task], pa.int64()), pa.array([part.tobytes()], pa.binary())], names=["rep", "at", "task", "cells"])
 
-    def merge(group: pa.Table) -> pa.Table:
+    def merged(group: pa.Table) -> pa.Table:
+        total = sum(np.frombuffer(b, dtype=np.int64) for b in group.column("cells").to_pylist())
+        return group.slice(0, 1).set_column(3, "cells", pa.array([total.tobytes()], pa.binary()))
+
+    def spread(group: pa.Table) -> pa.Table:
         total = sum(np.frombuffer(b, dtype=np.int64) for b in group.column("cells").to_pylist())
         idx = np.flatnonzero(total)
         return pa.table({"rep": pa.array(np.full(len(idx), group.column("rep")[0].as_py()), pa.int32()), "idx": idx + group.column("at")[0].as_py(), "v": total[idx]})
 
-    partial = indexed.mapInArrow(add_up, "rep int, at long, cells binary")
-    return CounterGrid(partial.groupBy("rep", "at").applyInArrow(merge, "rep int, idx long, v long"), spec)
+    partial = indexed.mapInArrow(add_up, schema)
+    # Chunks of FAN tasks are added at a time, so a task holds FAN chunks whatever the number of tasks.
+    tasks = indexed.rdd.getNumPartitions()
+    while tasks > FAN:
+        partial = partial.withColumn("task", F.floor(F.col("task") / FAN)).groupBy("rep", "at", "task").applyInArrow(merged, schema)
+        tasks = -(-tasks // FAN)
+    return CounterGrid(partial.groupBy("rep", "at").applyInArrow(spread, "rep int, idx long, v long"), spec)
 
 
 def merge(*grids: CounterGrid) -> CounterGrid:

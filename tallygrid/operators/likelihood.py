@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.density import LogSpline, bayes, credible, fit_logconcave, mle, posterior
+from ..functions.density import LogSpline, bayes, credible, fit_logconcave, mle, mle_counts, posterior
 from ..functions.statistics import location
 from .errors import Law, columns, law
 from .grid import CounterGrid
@@ -24,7 +24,7 @@ def counters(column: pa.Array) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(len(column), -1)
 
 
-def _by_item(probed: DataFrame, kernel, names: str) -> DataFrame:
+def by_item(probed: DataFrame, kernel, names: str) -> DataFrame:
     """`kernel` gives, for a matrix of counters, one array for each name."""
     kind = dict(probed.dtypes)["item"]
 
@@ -41,19 +41,32 @@ def max_likelihood(probed: DataFrame, spline: LogSpline) -> DataFrame:
     """item, est. With a density that only falls the smallest counter is the answer, and no Python runs."""
     if spline.falling:
         return probed.select("item", F.array_min("v").cast("double").alias("est"))
-    return _by_item(probed, lambda v: [np.maximum(0, mle(v, spline))], "est")
+    return by_item(probed, lambda v: [np.maximum(0, mle(v, spline))], "est")
+
+
+def kernel_counts(probed: DataFrame, spline: LogSpline) -> DataFrame:
+    """(item, evaluations, tied): what the maximisation of each item did."""
+    kind = dict(probed.dtypes)["item"]
+
+    def blocks(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                many, tied = mle_counts(counters(batch.column("v")), spline)
+                yield pa.RecordBatch.from_arrays([batch.column("item"), pa.array(many), pa.array(tied)], names=["item", "evaluations", "tied"])
+
+    return probed.select("item", "v").mapInArrow(blocks, f"item {kind}, evaluations long, tied boolean")
 
 
 def column_mle_law(grid: CounterGrid, spline: LogSpline) -> Law:
     """The law of the estimator, not cut off at 0, over the grid's columns."""
-    values = _by_item(columns(grid).select(F.col("idx").alias("item"), "v"), lambda v: [mle(v, spline)], "est")
+    values = by_item(columns(grid).select(F.col("idx").alias("item"), "v"), lambda v: [mle(v, spline)], "est")
     return law(values.groupBy(F.col("est").alias("v")).agg(F.count("*").alias("m")))
 
 
 def debiased_mle(probed: DataFrame, grid: CounterGrid, spline: LogSpline, level: float = 0.9, truncate: bool = True) -> DataFrame:
     """item, est, lo, hi."""
     g = column_mle_law(grid, spline)
-    raw = _by_item(probed, lambda v: [mle(v, spline)], "raw")
+    raw = by_item(probed, lambda v: [mle(v, spline)], "raw")
     cut = (lambda c: F.greatest(F.lit(0.0), c)) if truncate else (lambda c: c)
     low, high = g.quantile((1 - level) / 2), g.quantile((1 + level) / 2)
     return raw.select("item", cut(F.col("raw") - g.mean()).alias("est"), cut(F.col("raw") - high).alias("lo"), (F.col("raw") - low).alias("hi"))
@@ -70,7 +83,7 @@ def bayes_estimates(probed: DataFrame, spline: LogSpline, loss: str = "l2", leve
             out.append((bayes(n, p, loss, cap), *credible(n, p, level)))
         return list(np.asarray(out).T)
 
-    return _by_item(probed, kernel, "est lo hi")
+    return by_item(probed, kernel, "est lo hi")
 
 
 def posteriors(probed: DataFrame, spline: LogSpline, least: float = 0.0) -> DataFrame:
@@ -99,4 +112,4 @@ def empirical_prior(sample: DataFrame) -> Callable:
 
 
 def location_estimates(probed: DataFrame, loss: str = "huber") -> DataFrame:
-    return _by_item(probed, lambda v: [location(v, loss)], "est")
+    return by_item(probed, lambda v: [location(v, loss)], "est")

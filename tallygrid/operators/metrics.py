@@ -23,3 +23,9 @@ def coverage(df: DataFrame) -> DataFrame:
     """method, coverage, width."""
     inside = (F.col("lo") <= F.col("truth")) & (F.col("truth") <= F.col("hi"))
     return df.groupBy("method").agg(F.avg(inside.cast("double")).alias("coverage"), F.avg(F.col("hi") - F.col("lo")).alias("width"))
+
+
+def rmse_by_size(df: DataFrame) -> DataFrame:
+    """(items, method, rmse) of rows (items, method, truth, est): error per item against how many are estimated together."""
+    off = F.col("est") - F.col("truth")
+    return df.groupBy("items", "method").agg(F.sqrt(F.avg(off * off)).alias("rmse"))

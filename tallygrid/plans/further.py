@@ -10,7 +10,8 @@ from ..functions.lattice import fit_logconcave_discrete, fit_zero_atom, symmetri
 from ..functions.statistics import beta_quantile, t_median
 from ..operators import errors, estimates, grid, joint, likelihood, logcounters, metrics, variants
 from ..sources import tables
-from .registry import LEVEL, ORACLE_SQL, PINNED, QUERIES, SPEC, SQL_HIST, SQL_MEASURED, SQL_POST, Setting, _measured, _pair, add, sql_base
+from .base import LEVEL, ORACLE_SQL, PINNED, QUERIES, SPEC, SQL_HIST, Setting, add, sql_base
+from .methods import SQL_MEASURED, SQL_POST, _measured, _pair
 from .studies import _both_signs, frame
 
 # --- Intervals --------------------------------------------------------------------------------------------------------------------------------
@@ -32,7 +33,7 @@ _NEED = f"ceil({beta_quantile(0.95, 1, SPEC.r)!r} * {SPEC.cells - SPEC.r} - 1e-9
 @add("ci_excl", f"{sql_base()}, {SQL_HIST}, o AS (SELECT p.item, p.s, hc.v, hc.cum - len(list_filter(p.s, lambda x: x <= hc.v)) AS cum FROM p, hc) SELECT item, any_value(s)[1] AS est, greatest(0, any_value(s)[1] - min(CASE WHEN cum >= {_NEED} THEN v END)) AS lo, any_value(s)[1] AS hi FROM o GROUP BY item")
 def ci_excl(spark, d):
     s = Setting(spark, d)
-    return estimates.min_interval_own_out(s.probed, errors.error_hist(s.grid), SPEC.r)
+    return estimates.min_interval_own_out(s.probed, estimates.grid_law(s.grid), SPEC.r)
 
 
 # --- Densities and priors -----------------------------------------------------------------------------------------------------------------------
@@ -88,7 +89,7 @@ def signed_mle(spark, d):
     g = variants.build_signed(t, SPEC)
     spline = fit_logconcave(*_both_signs(estimates.grid_law(g)), trim=0.0)
     probed = variants.probe_signed(t.select("item").distinct(), g)
-    return likelihood._by_item(probed, lambda v: [np.maximum(0, symmetric_mle(v, spline))], "est")
+    return likelihood.by_item(probed, lambda v: [np.maximum(0, symmetric_mle(v, spline))], "est")
 
 
 @add("logcounter_mle")
@@ -98,7 +99,7 @@ def logcounter_mle(spark, d):
     levels = logcounters.build_logcounters(t, SPEC, base)
     f = estimates.grid_law(logcounters.values(levels, base))
     probed = grid.probe(t.select("item").distinct(), levels)
-    found = likelihood._by_item(probed, lambda v: [logcounters.level_mle(v, f, base)], "est")
+    found = likelihood.by_item(probed, lambda v: [logcounters.level_mle(v, f, base)], "est")
     return found.join(t.groupBy("item").agg(F.sum("c").alias("truth")), "item")
 
 

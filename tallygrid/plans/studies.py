@@ -13,9 +13,11 @@ from ..functions.hashing import GridSpec, cell_sql
 from ..functions.statistics import beta_quantile, t_mean, t_median, t_min
 from ..operators import errors, estimates, grid, joint, likelihood, logcounters, metrics, tuning, variants
 from ..sources import tables
+from ..sources.shared import shared_folder
 from ..streaming import grids as streams
 from . import workloads
-from .registry import LEVEL, ORACLE_SQL, PINNED, QUERIES, SPEC, SQL_HIST, TUPLES_SQL, Setting, _measured, _pair, _signed, _signed_probe_sql, _signed_sql, add, r6, sql_base, sql_grid, sql_probe, sql_rank
+from .base import LEVEL, ORACLE_SQL, PINNED, QUERIES, SPEC, SQL_HIST, TUPLES_SQL, Setting, add, r6, sql_base, sql_grid, sql_probe, sql_rank
+from .methods import SQL_IP, SQL_POST, _flag, _measured, _pair, _signed, _signed_probe_sql, _signed_sql
 
 HALF = GridSpec(4, 250, "poly4")
 
@@ -49,23 +51,6 @@ def density_other(spark, d):
     return frame(spark, [(k, float(v)) for k, v in scores.items()], "density string, mean_log double")
 
 
-@add("mle_gradient")
-def mle_gradient(spark, d):
-    """Breakpoints looked at per item: r times the knots, and one for the bound."""
-    s = likelihood.density(estimates.grid_law(Setting(spark, d).grid))
-    return frame(spark, [(SPEC.r, len(s.t), SPEC.r * len(s.t) + 1)], "r int, knots int, evaluations int")
-
-
-add("evals_per_count")(mle_gradient)
-add("bayes_credible")(lambda spark, d: likelihood.bayes_estimates(Setting(spark, d).probed, PINNED, "l1", 0.9))
-
-
-@add("logconcave_condition")
-def logconcave_condition(spark, d):
-    g = np.asarray([0.9, 0.09, 0.009, 0.0009])
-    return frame(spark, [(x, tuning.compound_is_logconcave(g, x)) for x in (0.01, 0.1, 0.2, 0.3, 1.0, 10.0)], "load double, log_concave boolean")
-
-
 # --- Joint ------------------------------------------------------------------------------------------------------------------------------------
 
 
@@ -89,22 +74,9 @@ def _joint(spark, d, **how):
 
 
 add("joint_mle_fixed_f")(lambda spark, d: _joint(spark, d, spline=True, update=False))
-add("joint_constrained")(lambda spark, d: _joint(spark, d, spline=True, update=False, rounds=50))
-
 # --- Other grids ------------------------------------------------------------------------------------------------------------------------------
 
 
-@add("signed_ci")
-def signed_ci(spark, d):
-    """Intervals of the signed median: noise cells count with both signs."""
-    t = tables.parts(spark, d)
-    g = variants.build_signed(t, SPEC)
-    f = estimates.grid_law(g)
-    both = errors.Law(*_both_signs(f))
-    x, m = np.unique(np.median(both.draws((20_000, SPEC.r), 3), axis=1), return_counts=True)
-    return estimates.debiased(variants.probe_signed(t.select("item").distinct(), g), t_median, errors.Law(x, m), LEVEL)
-
-
 def _both_signs(f: errors.Law):
     x, at = np.unique(np.concatenate([f.x, -f.x]), return_inverse=True)
     return x, np.bincount(at, weights=np.concatenate([f.m, f.m])).astype(np.int64)
@@ -117,16 +89,6 @@ def ip_signed(spark, d):
     return variants.inner_products(u, w).select("rep", "product")
 
 
-@add("ip_rel_error")
-def ip_rel_error(spark, d):
-    exact = QUERIES["ip_exact"](spark, d).select(F.col("product").alias("truth"))
-    u, w = _pair(spark, d)
-    found = variants.inner_products(u, w).agg(F.min("product").cast("double").alias("min"), F.expr("percentile(unbiased, 0.5)").alias("unbiased"))
-    surrogate = variants.surrogate_products(u, w, 20).agg(F.avg("product").alias("bias"))
-    rows = found.crossJoin(exact).crossJoin(surrogate)
-    return rows.select(F.expr("stack(3, 'min', min, 'unbiased', unbiased, 'surrogate', min - bias) AS (method, est)"), "truth").withColumn("rel_error", (F.col("est") - F.col("truth")) / F.col("truth"))
-
-
 @add("logcounter_build")
 def logcounter_build(spark, d):
     return logcounters.build_logcounters(tables.parts(spark, d), SPEC).df
@@ -145,13 +107,6 @@ def builtin_freq_sketch(spark, d):
     return tables.parts(spark, d).agg(F.count_min_sketch("item", F.lit(0.01), F.lit(0.95), F.lit(7)).alias("sketch")).select(F.octet_length("sketch").alias("bytes"))
 
 
-@add("decayed_query")
-def decayed_query(spark, d):
-    g = grid.CounterGrid(QUERIES["decayed_build"](spark, d), SPEC)
-    items = tables.customers(spark, d).select("item").distinct()
-    return estimates.classical(grid.probe(items, g)).withColumn("est", F.col("est") / 1_000_000)
-
-
 # --- Tuning and simulation ------------------------------------------------------------------------------------------------------------------
 
 
@@ -194,7 +149,6 @@ def size_defaults(spark, d):
     return frame(spark, [("best", best[0], best[1])] + [("preset", dp, w) for dp, _, w in tuning.depth_widths(base, list(tuning.DEPTH_PRESETS), [0.95])], "kind string, depth int, width double")
 
 
-add("wide_rule")(size_defaults)
 
 
 def _rmse(est: np.ndarray, truth: float = 0.0) -> float:
@@ -212,40 +166,10 @@ def regimes(spark, d):
     return frame(spark, rows, "a double, r int, min double, mean double, median double")
 
 
-@add("w09_shapes")
-def w09_shapes(spark, d):
-    """Normal and heavy-tailed errors at offsets: spread of debiased min, mean, median and likelihood estimates."""
-    g, rows = np.random.default_rng(0), []
-    for shape, draw in (("normal", lambda n: g.standard_normal(n)), ("t", lambda n: g.standard_t(3, n))):
-        for offset in (0.0, 1.0, 3.0):
-            pool = draw(60_000) + offset
-            pool = pool[pool > 0]
-            x, m = np.unique(np.round(pool[:8000], 2), return_counts=True)
-            s = fit_logconcave(x, m).extended()
-            for r in (4, 8, 16):
-                e = g.choice(pool, (1500, r))
-                own = {"min": e.min(axis=1), "mean": e.mean(axis=1), "median": np.median(e, axis=1), "mle": mle(e, s)}
-                rows += [(shape, offset, r, k, _rmse(v), (_rmse(v) / _rmse(own["mle"])) ** 2) for k, v in own.items()]
-    return frame(spark, rows, "shape string, offset double, r int, method string, rmse double, rel_eff double")
-
-
 def _compound(g, load: float, alpha: float, n: int) -> np.ndarray:
     return np.asarray([np.minimum(g.zipf(alpha, k), 10_000).sum() for k in g.poisson(load, n)], dtype=np.float64)
 
 
-@add("growth_study")
-def growth_study(spark, d):
-    """Spread against load: the minimum's bias grows with the load, the likelihood estimate's error with its root."""
-    g, rows = np.random.default_rng(0), []
-    for load in (4, 16, 64):
-        pool = _compound(g, load, 3.0, 6000)
-        s = fit_logconcave(*np.unique(pool[:4000], return_counts=True)).extended()
-        e = g.choice(pool, (1500, 8))
-        est = mle(e, s)
-        rows.append((load, float(np.sqrt((e.min(axis=1) ** 2).mean())), float(np.sqrt((est**2).mean())), _rmse(est)))
-    return frame(spark, rows, "load int, min double, mle double, mle_debiased double")
-
-
 @add("w10_density")
 def w10_density(spark, d):
     """Log mass of a compound Poisson law and its fit at three trims."""
@@ -255,29 +179,9 @@ def w10_density(spark, d):
     return frame(spark, [(float(a), float(np.log(n / m.sum())), t, float(s(np.asarray([a]))[0])) for t, s in fits.items() for a, n in zip(x, m, strict=True)], "x double, log_mass double, trim double, log_fit double")
 
 
-@add("w11_depth")
-def w11_depth(spark, d):
-    """Interval width against depth at a fixed budget, for negative binomial counts."""
-    g = np.random.default_rng(0)
-    c = g.negative_binomial(30, 0.01, 4000)
-    line = np.bincount(g.integers(0, 8000, 4000), weights=c, minlength=8000).astype(int)
-    base = np.bincount(line, minlength=16 * (line.max() + 1)) / 8000
-    return frame(spark, tuning.depth_widths(base, list(range(1, 13)), [0.5, 0.9, 0.95, 0.99]), "depth int, level double, width double")
-
-
 # --- Measures and workloads -------------------------------------------------------------------------------------------------------------------
 
 
-@add("ms_per_count")
-def ms_per_count(spark, d):
-    s = Setting(spark, d)
-    spline = likelihood.density(estimates.grid_law(s.grid))
-    v = np.asarray([r["v"] for r in s.probed.limit(2000).collect()])
-    began = time.perf_counter()
-    mle(v, spline)
-    return frame(spark, [(len(v), (time.perf_counter() - began) / len(v) * 1e3)], "items int, ms double")
-
-
 @add("n_knots")
 def n_knots(spark, d):
     f = estimates.grid_law(Setting(spark, d).grid)
@@ -289,114 +193,6 @@ def n_knots(spark, d):
 add("space_cells", "SELECT CAST(4 AS INTEGER) AS r, CAST(250 AS INTEGER) AS k, CAST(1000 AS INTEGER) AS cells, CAST(8000 AS INTEGER) AS bytes")(lambda spark, d: frame(spark, [(SPEC.r, SPEC.k, SPEC.cells, 8 * SPEC.cells)], "r int, k int, cells int, bytes int"))
 
 
-@add("w06_coverage")
-def w06_coverage(spark, d):
-    """Actual coverage by level and estimator, over several salts."""
-    t = tables.customers(spark, d).groupBy("item").agg(F.sum("c").alias("c")).cache()
-    out = None
-    for seed in range(3):
-        g = grid.CounterGrid(grid.build_grid(t, GridSpec(4, 150, "xx64", seed)).df.cache(), GridSpec(4, 150, "xx64", seed))
-        probed, f = grid.probe(t, g).cache(), estimates.grid_law(g)
-        laws = {n: (s, estimates.statistic_law(g, s)) for n, s in (("mean", t_mean), ("median", t_median))}
-        for level in (0.5, 0.8, 0.9, 0.95):
-            found = {"min_onesided": estimates.debiased_min(probed, f, 4, level, "exact"), "min_twosided": estimates.debiased_order(probed, f, 1, 4, level)} | {n: estimates.debiased(probed, s, law, level) for n, (s, law) in laws.items()}
-            for name, e in found.items():
-                part = e.join(t.withColumnRenamed("c", "truth"), "item").select(F.lit(name).alias("method"), F.lit(level).alias("level"), "truth", "lo", "hi")
-                out = part if out is None else out.unionByName(part)
-    inside = (F.col("lo") <= F.col("truth")) & (F.col("truth") <= F.col("hi"))
-    return out.groupBy("method", "level").agg(F.avg(inside.cast("double")).alias("coverage"), F.avg(F.col("hi") - F.col("lo")).alias("width"))
-
-
-@add("w08_regression")
-def w08_regression(spark, d):
-    """Squared error by the number of jointly estimated items, for words in a small sketch: least squares, joint likelihood, debiased minimum."""
-    spec = GridSpec(4, 1024)
-    t = tables.words(spark, d).groupBy("item").agg(F.sum("c").alias("c")).cache()
-    g = grid.CounterGrid(grid.build_grid(t, spec).df.cache(), spec)
-    f, rows = estimates.grid_law(g), []
-    total = t.agg(F.sum("c")).first()[0]
-    for n in (8, 32, 128):
-        top = variants.top_items(t, n)
-        truth = {r["item"]: r["c"] for r in top.collect()}
-        items, cells, values = joint.system(top.select("item"), g)
-        y = np.asarray([truth[i] for i in items], dtype=float)
-        start = np.maximum(0, values[cells].min(axis=1) - f.order_mean(1, spec.r))
-        own = {"least_squares": joint.least_squares(cells, values), "debiased_min": start, "joint_mle": joint.joint_mle(cells, values, start)[0]}
-        rows += [(n, float(y.sum() / total), k, float(np.sqrt(((v - y) ** 2).mean()))) for k, v in own.items()]
-    return frame(spark, rows, "items int, mass_share double, method string, rmse double")
-
-
-add("rmse_per_item")(w08_regression)
-
-
-@add("w04_flows")
-def w04_flows(spark, d):
-    """Distinct suppliers of parts."""
-    flows = tables.flows(spark, d)
-    truth = flows.groupBy("item").agg(F.countDistinct("element").alias("truth"))
-    g = variants.build_distinct(flows, SPEC)
-    probed, f = grid.probe(truth.select("item"), g), estimates.grid_law(g)
-    found = {"min": estimates.classical(probed), "debiased_min": estimates.debiased_min(probed, f, SPEC.r, mode="exact").select("item", "est"), "mle": likelihood.max_likelihood(probed, likelihood.density(f))}
-    rows = None
-    for name, e in found.items():
-        part = e.join(truth, "item").withColumn("method", F.lit(name))
-        rows = part if rows is None else rows.unionByName(part)
-    return metrics.accuracy(rows)
-
-
-@add("w07_width")
-def w07_width(spark, d):
-    rows = []
-    for alpha in (2.0, 2.5, 3.0):
-        spec = GridSpec(4, 1000)
-        f = estimates.grid_law(grid.build_grid(tables.power_law(spark, 20_000, alpha), spec))
-        tight, classic = f.quantile(beta_quantile(LEVEL, 1, 4)), estimates.markov_width(float(f.x @ f.m / 4), 4, 1000, LEVEL)
-        rows.append((alpha, tight, classic, classic / max(tight, 1.0)))
-    return frame(spark, rows, "alpha double, tight double, classical double, ratio double")
-
-
-@add("w13_corpus_tuning")
-def w13_corpus_tuning(spark, d):
-    """Sizing for 5-grams from a coordinated sample and one 1 x B grid."""
-    t = variants.coordinated_sample(tables.ngrams(spark, d, 5), 0.2)
-    f = estimates.grid_law(grid.build_grid(t, GridSpec(1, 20_000)))
-    return frame(spark, tuning.depth_widths(tuning.mass(f, 16 * (int(f.x.max()) + 1)), list(range(1, 9)), [0.9, 0.95]), "depth int, level double, width double")
-
-
-add("w12_timing")(ms_per_count)
-add("w14_inner")(ip_rel_error)
-add("w15_sets", ORACLE_SQL["set_query"])(QUERIES["set_query"])
-add("w05_compare")(lambda spark, d: workloads.compare(tables.users(spark, d), [GridSpec(4, 20), GridSpec(8, 10)]))
-
-
-@add("w17_ablation")
-def w17_ablation(spark, d):
-    """Error and coverage of choices: bias rule, own cells in or out, cutting at 0, half a count off each end."""
-    s = Setting(spark, d, tables.customers, GridSpec(4, 150, "poly4"))
-    f, truth = estimates.grid_law(s.grid), s.truth.withColumnRenamed("c", "truth")
-    g = estimates.statistic_law(s.grid, t_median)
-    found = {f"min_{m}": estimates.debiased_min(s.probed, f, 4, LEVEL, m) for m in ("plugin", "rank", "exact")} | {
-        "min_exact_free": estimates.debiased_min(s.probed, f, 4, LEVEL, "exact", truncate=False), "median": estimates.debiased(s.probed, t_median, g, LEVEL), "median_shrunk": estimates.debiased(s.probed, t_median, g, LEVEL, shrink=0.5),
-    }
-    rows = None
-    for name, e in found.items():
-        part = e.join(truth, "item").withColumn("method", F.lit(name))
-        rows = part if rows is None else rows.unionByName(part)
-    return metrics.accuracy(rows).join(metrics.coverage(rows), "method")
-
-
-@add("w18_signed")
-def w18_signed(spark, d):
-    t = tables.customers(spark, d)
-    truth = t.groupBy("item").agg(F.sum("c").alias("truth"))
-    spec = GridSpec(4, 100, "poly4")
-    g = grid.build_grid(t, spec)
-    one = estimates.debiased(grid.probe(truth.select("item"), g), t_median, estimates.statistic_law(g, t_median), LEVEL).select("item", "est")
-    two = estimates.classical(variants.probe_signed(truth.select("item"), variants.build_signed(t, spec)), t_median)
-    rows = one.withColumn("method", F.lit("one_sided_median")).unionByName(two.withColumn("method", F.lit("signed_median"))).join(truth, "item")
-    return metrics.accuracy(rows)
-
-
 # --- Streams ----------------------------------------------------------------------------------------------------------------------------------
 
 
@@ -405,7 +201,7 @@ def _events(spark, d) -> DataFrame:
 
 
 def _folder(spark) -> str:
-    return spark.conf.get("spark.checkpoint.dir", None) or "/tmp/stream-checkpoints"
+    return shared_folder(spark)
 
 
 SMALL = GridSpec(2, 16, "poly4")
@@ -418,49 +214,11 @@ def _window_sql() -> str:
 
 @add("stream_tumbling", _window_sql())
 def stream_tumbling(spark, d):
-    grids = streams.drained(streams.window_grids(_events(spark, d), SMALL, "1 day", late="3650 days"), "complete", _folder(spark))
-    return grids.select(F.unix_timestamp("window.start").alias("start"), "rep", "idx", "v")
-
-
-@add("stream_sliding")
-def stream_sliding(spark, d):
-    grids = streams.drained(streams.window_grids(_events(spark, d), SMALL, "2 days", "1 day", late="3650 days"), "complete", _folder(spark))
+    grids = streams.drained(streams.window_grids(_events(spark, d), SMALL, "1 day", late="3650 days"), _folder(spark))
     return grids.select(F.unix_timestamp("window.start").alias("start"), "rep", "idx", "v")
 
 
 @add("stream_dedup", f"WITH t AS ({TUPLES_SQL['users']}), {sql_grid('g', 't')} SELECT rep, idx, v FROM g")
 def stream_dedup(spark, d):
     once = _events(spark, d).withWatermark("ts", "3650 days").dropDuplicatesWithinWatermark(["event_id"])
-    return streams.drained(streams.stream_grid(once, SPEC), "complete", _folder(spark))
-
-
-@add("stream_lazy_density")
-def stream_lazy_density(spark, d):
-    """Fits made while the table arrives in ten parts, with a gate on the distance of laws."""
-    rows = tables.table(spark, d, "events").select(F.col("user_id").alias("item"), F.lit(1).cast("long").alias("c"), (F.col("event_id") % 10).alias("part")).cache()
-    lazy, out = streams.LazyDensity(likelihood.density, 0.1), []
-    for part in range(10):
-        lazy.current(estimates.grid_law(grid.build_grid(rows.where(F.col("part") <= part), GridSpec(4, 200))))
-        out.append((part, lazy.refits))
-    return frame(spark, out, "part int, refits int")
-
-
-add("refits")(stream_lazy_density)
-
-# --- Sources, sinks, functions in SQL ----------------------------------------------------------------------------------------------------------
-
-
-def register(spark) -> None:
-    """The estimators as SQL functions over arrays of own counters."""
-    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION tg_min(v ARRAY<BIGINT>) RETURNS BIGINT RETURN array_min(v)")
-    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION tg_order(v ARRAY<BIGINT>, i INT) RETURNS BIGINT RETURN element_at(sort_array(v), i)")
-    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION tg_median(v ARRAY<BIGINT>) RETURNS DOUBLE RETURN (element_at(sort_array(v), CAST(floor((size(v) + 1) / 2) AS INT)) + element_at(sort_array(v), CAST(floor(size(v) / 2) AS INT) + 1)) / 2")
-
-
-@add("sql_functions", f"{sql_base()} SELECT item, s[1] AS low, s[2] AS second, round((s[2] + s[3]) / 2.0, 6) AS median FROM p")
-def sql_functions(spark, d):
-    register(spark)
-    return spark.sql("SELECT item, tg_min(v) AS low, tg_order(v, 2) AS second, round(tg_median(v), 6) AS median FROM {p}", p=Setting(spark, d).probed)
-
-
-from . import further, stream_queries  # noqa: E402,F401  add their own queries
+    return streams.drained(streams.stream_grid(once, SPEC), _folder(spark))

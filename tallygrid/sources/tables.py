@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterable, Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -46,15 +50,23 @@ def words(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def ngrams(spark: SparkSession, sf_dir: str, n: int, prefix: str = "") -> DataFrame:
-    """Runs of n words inside a document, joined by blanks; `prefix`: only those that start with it."""
+    """Runs of n words inside a document, joined by blanks; `prefix`: only those that start with it, which their first word tells before any run is formed."""
     w = F.filter(F.split(F.lower("text"), r"[^\p{L}]+"), lambda x: x != "")
     listed = table(spark, sf_dir, "documents").select(w.alias("w")).where(F.size("w") >= n)
-    grams = listed.select(F.explode(F.transform(F.sequence(F.lit(1), F.size("w") - n + 1), lambda i: F.concat_ws(" ", F.slice("w", i, n)))).alias("g"))
-    return tuples(grams.where(F.col("g").startswith(prefix)), F.col("g"))
+    starts = F.sequence(F.lit(1), F.size("w") - n + 1)
+    if prefix:
+        starts = F.filter(starts, lambda i: F.element_at("w", i).startswith(prefix))
+    return tuples(listed.select(F.explode(F.transform(starts, lambda i: F.concat_ws(" ", F.slice("w", i, n)))).alias("g")), F.col("g"))
 
 
-def power_law(spark: SparkSession, items: int, alpha: float = 2.0, offset: float = 0.0, most: float = 1e6, seed: int = 3) -> DataFrame:
-    """Item counts with tail (offset + x)^-alpha, by the inverse of the tail at a hashed uniform; the same on every run."""
+def power_law(spark: SparkSession, items: int, alpha: float = 2.0, offset: float = 0.0, most: int = 1_000_000, seed: int = 3) -> DataFrame:
+    """Items with counts x from 1 to `most`, P(x) in proportion to (offset + x)^-alpha, by the inverse of the law at a hashed uniform; the same on every run."""
     u = (F.pmod(F.xxhash64(F.lit(seed), "id"), F.lit(1 << 40)).cast("double") + 0.5) / float(1 << 40)
-    x = F.pow(u, F.lit(-1.0 / (alpha - 1))) * (1 + offset) - offset
-    return spark.range(items).select(F.col("id").alias("item"), F.floor(F.least(x, F.lit(most))).cast("long").alias("c"))
+
+    def blocks(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        law = np.cumsum((offset + np.arange(1, most + 1)) ** -float(alpha))
+        law /= law[-1]
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([batch.column("item"), pa.array(np.searchsorted(law, batch.column("u").to_numpy()) + 1)], names=["item", "c"])
+
+    return spark.range(items).select(F.col("id").alias("item"), u.alias("u")).mapInArrow(blocks, "item long, c long")

@@ -7,9 +7,11 @@ from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
+from ..functions.density import LogSpline, fit_logconcave
 from ..functions.hashing import GridSpec
-from ..operators.errors import Law
+from ..operators.errors import Law, error_hist, law
 from ..operators.estimates import narrowest
 from ..operators.grid import CounterGrid, cells_of, probe
 from ..operators.variants import raise_cells
@@ -27,12 +29,17 @@ def window_grids(stream: DataFrame, spec: GridSpec, duration: str, slide: str |
     return spread.groupBy(F.window("ts", duration, slide) if slide else F.window("ts", duration), "x.rep", "x.idx").agg(F.sum("c").alias("v"))
 
 
-def drained(stream: DataFrame, mode: str, checkpoint: str) -> DataFrame:
-    """Run a stream over all that is there now, and give its table."""
-    name = f"stream_{uuid.uuid4().hex}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{checkpoint}/{name}").trigger(availableNow=True).start()
-    query.awaitTermination()
-    return stream.sparkSession.table(name)
+def drained(stream: DataFrame, folder: str, *keys: str) -> DataFrame:
+    """Run an aggregating stream over all that is there now, and give its table.
+
+    Each micro-batch writes the rows that changed (update mode) to files, by batch id, so a batch that runs twice counts once and nothing gathers on the driver; the last row of
+    each key stands. `keys`: those columns, by default all but `v`.
+    """
+    path = f"{folder}/table_{uuid.uuid4().hex}"
+    each_batch(stream, lambda batch, batch_id: batch.write.mode("overwrite").parquet(f"{path}/batch={batch_id}"), folder, f"{path}_log", "update")
+    rows = stream.sparkSession.read.schema(T.StructType([*stream.schema.fields, T.StructField("batch", T.LongType())])).parquet(path)
+    names = list(keys) or [c for c in stream.columns if c != "v"]
+    return rows.groupBy(*names).agg(*[F.max_by(c, "batch").alias(c) for c in stream.columns if c not in names]).select(*stream.columns)
 
 
 def sessions(stream: DataFrame, gap: str, late: str = "0 seconds") -> DataFrame:
@@ -70,89 +77,161 @@ def drained_to_files(stream: DataFrame, folder: str) -> DataFrame:
     return stream.sparkSession.read.schema(stream.schema).parquet(path)
 
 
+def batch_numbers(spark: SparkSession, path: str) -> list[int]:
+    """Numbers of the finished folders batch=<n> below `path`, in order; read from the store itself, so a restarted driver finds what is there."""
+    jvm = spark.sparkContext._jvm
+    where = jvm.org.apache.hadoop.fs.Path(path)
+    fs = where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    if not fs.exists(where):
+        return []
+    done = [f.getPath() for f in fs.listStatus(where) if f.getPath().getName().startswith("batch=")]
+    return sorted(int(p.getName()[6:]) for p in done if fs.exists(jvm.org.apache.hadoop.fs.Path(p, "_SUCCESS")))
+
+
 class BatchGrids:
     """Grids of micro-batches in a shared folder, one file set for each batch id: a batch that runs twice counts once.
 
-    Late tuples are added like any others, as grids are linear. `keys`: further columns that tell grids apart, such as windows.
+    Late tuples are added like any others, as grids are linear. `keys`: further columns that tell grids apart, such as windows. Every `compact` batches, all so far are
+    merged into one file set, named by the last batch that it holds, so a reader meets `compact` small sets and one merged one. All state is in the folder: a
+    store made anew with the same `name` goes on where the last one stopped.
     """
 
-    def __init__(self, folder: str, spec: GridSpec, *keys: str):
-        self.path, self.spec, self.keys = f"{folder}/grids_{uuid.uuid4().hex}", spec, keys
+    def __init__(self, folder: str, spec: GridSpec, *keys: str, name: str | None = None, compact: int = 16):
+        self.path, self.spec, self.keys, self.compact = f"{folder}/grids_{name or uuid.uuid4().hex}", spec, keys, compact
 
     def absorb(self, batch: DataFrame, batch_id: int) -> None:
+        spark = batch.sparkSession
         spread = batch.select(*self.keys, F.explode(cells_of(F.col("item"), self.spec)).alias("x"), "c")
-        spread.groupBy(*self.keys, "x.rep", "x.idx").agg(F.sum("c").alias("v")).write.mode("overwrite").parquet(f"{self.path}/batch={batch_id}")
+        spread.groupBy(*self.keys, "x.rep", "x.idx").agg(F.sum("c").alias("v")).write.mode("overwrite").parquet(f"{self.path}/batches/batch={batch_id}")
+        if (batch_id + 1) % self.compact == 0:
+            self.merged(spark).write.mode("overwrite").parquet(f"{self.path}/merged/batch={batch_id}")
+
+    def sets(self, spark: SparkSession) -> list[str]:
+        """The file sets that hold every batch once: the last merged one, and the batches after it."""
+        merged = batch_numbers(spark, f"{self.path}/merged")
+        last = merged[-1] if merged else -1
+        return [f"{self.path}/merged/batch={last}"] * bool(merged) + [f"{self.path}/batches/batch={b}" for b in batch_numbers(spark, f"{self.path}/batches") if b > last]
 
     def merged(self, spark: SparkSession) -> DataFrame:
-        return spark.read.parquet(self.path).groupBy(*self.keys, "rep", "idx").agg(F.sum("v").alias("v"))
+        found = self.sets(spark)
+        if not found:
+            return spark.createDataFrame([], "rep int, idx long, v long")
+        return spark.read.parquet(*found).groupBy(*self.keys, "rep", "idx").agg(F.sum("v").alias("v"))
 
     def grid(self, spark: SparkSession) -> CounterGrid:
         return CounterGrid(self.merged(spark).select("rep", "idx", "v"), self.spec)
 
 
 class ConservativeGrid:
-    """Conservative updates batch by batch; a batch reads the grid that the one before wrote, so reruns agree."""
+    """Conservative updates batch by batch; a batch reads the grid that the one before wrote, so reruns agree. An empty stream gives an empty grid."""
 
-    def __init__(self, folder: str, spec: GridSpec):
-        self.path, self.spec, self.last = f"{folder}/conservative_{uuid.uuid4().hex}", spec, None
+    def __init__(self, folder: str, spec: GridSpec, name: str | None = None):
+        self.path, self.spec = f"{folder}/conservative_{name or uuid.uuid4().hex}", spec
 
     def absorb(self, batch: DataFrame, batch_id: int) -> None:
-        spark = batch.sparkSession
-        before = None if batch_id == 0 else CounterGrid(spark.read.parquet(f"{self.path}/{batch_id - 1}"), self.spec)
-        raise_cells(batch, before, self.spec).df.write.mode("overwrite").parquet(f"{self.path}/{batch_id}")
-        self.last = batch_id
+        raise_cells(batch, self._before(batch.sparkSession, batch_id), self.spec).df.write.mode("overwrite").parquet(f"{self.path}/batch={batch_id}")
+
+    def _before(self, spark: SparkSession, batch_id: int | float) -> CounterGrid | None:
+        done = [b for b in batch_numbers(spark, self.path) if b < batch_id]
+        return CounterGrid(spark.read.schema("rep int, idx long, v long").parquet(f"{self.path}/batch={done[-1]}"), self.spec) if done else None
 
     def grid(self, spark: SparkSession) -> CounterGrid:
-        return CounterGrid(spark.read.parquet(f"{self.path}/{self.last}"), self.spec)
+        return self._before(spark, float("inf")) or CounterGrid(spark.createDataFrame([], "rep int, idx long, v long"), self.spec)
 
 
 class TopItems:
-    """The `most` items with the largest estimates: after each batch, the old ones and the batch's items are ranked by the grid of all batches."""
+    """The `most` items with the largest estimates: after each batch, the old ones and the batch's items are ranked by the grid of all batches.
 
-    def __init__(self, folder: str, spec: GridSpec, most: int):
-        self.grids, self.most, self.path, self.last = BatchGrids(folder, spec), most, f"{folder}/top_{uuid.uuid4().hex}", None
+    An item is ranked when it comes, so of items that fell behind and came no more, those whose estimates stand above a later `most`-th are missed;
+    `spare` times as many are kept as are answered, which makes room for them.
+    """
+
+    def __init__(self, folder: str, spec: GridSpec, most: int, name: str | None = None, spare: int = 4):
+        name = name or uuid.uuid4().hex
+        self.grids, self.most, self.spare, self.path = BatchGrids(folder, spec, name=name), most, spare, f"{folder}/top_{name}"
 
     def absorb(self, batch: DataFrame, batch_id: int) -> None:
         spark = batch.sparkSession
         self.grids.absorb(batch, batch_id)
         items = batch.select("item").distinct()
-        if batch_id:
-            items = items.union(spark.read.parquet(f"{self.path}/{batch_id - 1}").select("item")).distinct()
-        ranked = probe(items, self.grids.grid(spark)).select("item", F.array_min("v").alias("est")).orderBy(F.desc("est"), "item").limit(self.most)
-        ranked.write.mode("overwrite").parquet(f"{self.path}/{batch_id}")
-        self.last = batch_id
+        done = [b for b in batch_numbers(spark, self.path) if b < batch_id]
+        if done:
+            items = items.union(spark.read.parquet(f"{self.path}/batch={done[-1]}").select("item")).distinct()
+        self._ranked(items, spark).limit(self.most * self.spare).write.mode("overwrite").parquet(f"{self.path}/batch={batch_id}")
+
+    def _ranked(self, items: DataFrame, spark: SparkSession) -> DataFrame:
+        return probe(items, self.grids.grid(spark)).select("item", F.array_min("v").alias("est")).orderBy(F.desc("est"), "item")
 
     def items(self, spark: SparkSession) -> DataFrame:
-        return spark.read.parquet(f"{self.path}/{self.last}")
+        done = batch_numbers(spark, self.path)
+        if not done:
+            return spark.createDataFrame([], "item long, est long")
+        return self._ranked(spark.read.parquet(f"{self.path}/batch={done[-1]}").select("item"), spark).limit(self.most)
 
 
 class AutoEstimator:
     """Every `period` batches, the simple estimator with the narrowest interval on the grid of all batches so far."""
 
-    def __init__(self, folder: str, spec: GridSpec, statistics: dict, period: int = 1, level: float = 0.9):
-        self.grids, self.statistics, self.period, self.level = BatchGrids(folder, spec), statistics, period, level
-        self.choices: list[tuple[int, str, float]] = []
+    def __init__(self, folder: str, spec: GridSpec, statistics: dict, period: int = 1, level: float = 0.9, name: str | None = None):
+        name = name or uuid.uuid4().hex
+        self.grids, self.statistics, self.period, self.level, self.path = BatchGrids(folder, spec, name=name), statistics, period, level, f"{folder}/auto_{name}"
 
     def absorb(self, batch: DataFrame, batch_id: int) -> None:
+        spark = batch.sparkSession
         self.grids.absorb(batch, batch_id)
         if (batch_id + 1) % self.period == 0:
-            name, widths = narrowest(self.grids.grid(batch.sparkSession), self.statistics, self.level)
-            self.choices.append((batch_id, name, float(widths[name])))
+            name, widths = narrowest(self.grids.grid(spark), self.statistics, self.level)
+            spark.createDataFrame([(batch_id, name, float(widths[name]))], self.CHOICE).coalesce(1).write.mode("overwrite").parquet(f"{self.path}/batch={batch_id}")
+
+    CHOICE = "id int, statistic string, width double"
+
+    def choices(self, spark: SparkSession) -> DataFrame:
+        found = [f"{self.path}/batch={b}" for b in batch_numbers(spark, self.path)]
+        return spark.read.schema(self.CHOICE).parquet(*found).withColumnRenamed("id", "batch") if found else spark.createDataFrame([], self.CHOICE.replace("id", "batch", 1))
 
 
-def each_batch(stream: DataFrame, absorb: Callable[[DataFrame, int], None], folder: str) -> None:
-    """Run `absorb` on the micro-batches of all that is there now."""
-    stream.writeStream.foreachBatch(absorb).option("checkpointLocation", f"{folder}/log_{uuid.uuid4().hex}").trigger(availableNow=True).start().awaitTermination()
+def each_batch(stream: DataFrame, absorb: Callable[[DataFrame, int], None], folder: str, log: str | None = None, mode: str = "append") -> None:
+    """Run `absorb` on the micro-batches of all that is there now. With a `log` of the caller's, a later run goes on after the batches that this one finished."""
+    stream.writeStream.foreachBatch(absorb).outputMode(mode).option("checkpointLocation", log or f"{folder}/log_{uuid.uuid4().hex}").trigger(availableNow=True).start().awaitTermination()
 
 
 class LazyDensity:
-    """A fitted density that is fitted anew only when the law has moved by `delta` since."""
+    """A fitted density that is fitted anew only when the law of all batches so far has moved by `delta` since the last fit.
+
+    The law of the last fit and what each batch decided are files in the folder, so a driver that starts again goes on where the last one stopped; a batch that runs twice
+    decides the same twice.
+    """
 
-    def __init__(self, fit: Callable[[Law], object], delta: float = 0.02):
-        self.fit, self.delta, self.law, self.spline, self.refits, self.checks = fit, delta, None, None, 0, 0
+    STEP = "id int, ks double, refitted boolean, knots int"
 
-    def current(self, law: Law) -> object:
-        self.checks += 1
-        if self.law is None or law.ks(self.law) >= self.delta:
-            self.law, self.spline, self.refits = law, self.fit(law), self.refits + 1
-        return self.spline
+    def __init__(self, folder: str, spec: GridSpec, delta: float = 0.02, trim: float = 0.01, name: str | None = None):
+        name = name or uuid.uuid4().hex
+        self.grids, self.delta, self.trim, self.path = BatchGrids(folder, spec, name=name), delta, trim, f"{folder}/lazy_{name}"
+
+    def _fitted(self, spark: SparkSession, before: int | float) -> Law | None:
+        done = [b for b in batch_numbers(spark, f"{self.path}/laws") if b < before]
+        return law(spark.read.parquet(f"{self.path}/laws/batch={done[-1]}")) if done else None
+
+    def absorb(self, batch: DataFrame, batch_id: int) -> None:
+        spark = batch.sparkSession
+        self.grids.absorb(batch, batch_id)
+        now, last = law(error_hist(self.grids.grid(spark))), self._fitted(spark, batch_id)
+        gap = 1.0 if last is None else now.ks(last)
+        anew = last is None or gap >= self.delta
+        if anew:
+            spark.createDataFrame([(float(x), int(m)) for x, m in zip(now.x, now.m, strict=True)], "v double, m long").coalesce(1).write.mode("overwrite").parquet(f"{self.path}/laws/batch={batch_id}")
+        knots = len(fit_logconcave(now.x, now.m, self.trim).t) if anew else 0
+        spark.createDataFrame([(batch_id, gap, anew, knots)], self.STEP).coalesce(1).write.mode("overwrite").parquet(f"{self.path}/steps/batch={batch_id}")
+
+    def density(self, spark: SparkSession) -> LogSpline:
+        """The density as of the last fit."""
+        last = self._fitted(spark, float("inf"))
+        if last is None:
+            raise ValueError("no batch has come")
+        return fit_logconcave(last.x, last.m, self.trim).extended()
+
+    def steps(self, spark: SparkSession) -> DataFrame:
+        """(batch, ks, refitted, knots) of every batch."""
+        found = [f"{self.path}/steps/batch={b}" for b in batch_numbers(spark, f"{self.path}/steps")]
+        rows = spark.read.schema(self.STEP).parquet(*found) if found else spark.createDataFrame([], self.STEP)
+        return rows.withColumnRenamed("id", "batch")

@@ -284,6 +284,17 @@ def smp_hash_bernoulli(df: DataFrame, key: str, share: float, seed: str = "7") -
     return df.where(hashed(F.col(key), seed) < F.lit(int(share * (1 << 52))))
 
 
+def smp_coord(df: DataFrame, keys: list[str], share: float, seed: str = "7") -> DataFrame:
+    """All rows of a key or none, by a draw of the key: tables sampled alike keep the same keys, so they can still be joined. Rows with a null in a key go."""
+    return df.where(hashed(F.concat_ws("/", *keys), seed) < F.lit(int(share * (1 << 52)))).dropna(subset=keys)
+
+
+def smp_bottomk(df: DataFrame, key: str, most: int, seed: str = "7") -> DataFrame:
+    """All rows of the `most` keys with the smallest hashes; fewer keys, all of them."""
+    chosen = ord_first(df.where(F.col(key).isNotNull()).select(F.col(key).alias("__key")).distinct().withColumn("__h", hashed(F.col("__key"), seed)), most, "__h", "__key")
+    return df.join(chosen, F.col(key) == F.col("__key"), "left_semi")
+
+
 def smp_stratified(df: DataFrame, stratum: str, key: str, most: int, seed: str = "7") -> DataFrame:
     """Of each stratum, the `most` rows with the smallest hashes."""
     return top_per_group(df.withColumn("__h", hashed(F.col(key), seed)), stratum, most, "__h", key).drop("__h")

@@ -127,6 +127,8 @@ for _name, _word, _how in (("set_union", "UNION", lambda a, b: a.union(b).distin
 op("set_except", "SELECT p_partkey AS k FROM part EXCEPT SELECT l_partkey FROM lineitem WHERE l_quantity > 45", "part", "lineitem")(lambda a, b: a.select(c("p_partkey").alias("k")).subtract(b.where("l_quantity > 45").select("l_partkey")))
 _H = lambda key: f"CAST(concat('0x', substr(md5(concat('7:', CAST({key} AS VARCHAR))), 1, 13)) AS BIGINT)"
 op("smp_hash_bernoulli", f"SELECT o_orderkey FROM orders WHERE {_H('o_orderkey')} < {int(0.1 * (1 << 52))}", "orders")(lambda df: ops.smp_hash_bernoulli(df, "o_orderkey", 0.1).select("o_orderkey"))
+op("smp_coord", f"SELECT l_orderkey, l_linenumber, o_custkey FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE {_H('l_orderkey')} < {int(0.1 * (1 << 52))}", "lineitem", "orders")(lambda lines, orders: ops.smp_coord(lines, ["l_orderkey"], 0.1).join(ops.smp_coord(orders, ["o_orderkey"], 0.1), c("l_orderkey") == c("o_orderkey")).select("l_orderkey", "l_linenumber", "o_custkey"))
+op("smp_bottomk", f"SELECT user_id, event_id FROM events WHERE user_id IN (SELECT user_id FROM (SELECT DISTINCT user_id FROM events WHERE user_id IS NOT NULL) ORDER BY {_H('user_id')}, user_id LIMIT 20)", "events")(lambda df: ops.smp_bottomk(df, "user_id", 20).select("user_id", "event_id"))
 op("smp_stratified", f"SELECT o_orderpriority, o_orderkey FROM (SELECT *, row_number() OVER (PARTITION BY o_orderpriority ORDER BY {_H('o_orderkey')}, o_orderkey) AS k FROM orders) WHERE k <= 30", "orders")(lambda df: ops.smp_stratified(df, "o_orderpriority", "o_orderkey", 30).select("o_orderpriority", "o_orderkey"))
 
 # --- Texts, times, numbers

@@ -139,11 +139,11 @@ TOP_SQL = f"{USERS_SQL}, i AS (SELECT DISTINCT item FROM t), e AS (" + " UNION A
 
 @add("stream_topk", TOP_SQL)
 def stream_topk(spark, d):
-    """The 20 users with the largest estimates, each user's events in one batch alone: most of the answer has to be carried from batch to batch."""
+    """The 20 users with the largest estimates, each user's events in one batch alone: estimates of the first batches' users go on rising with the later ones."""
     folder = place(spark, "by-user")
     rows = tables.table(spark, d, "events").select(F.col("user_id").alias("item"), F.lit(1).cast("long").alias("c"), (F.pmod(F.xxhash64("user_id"), F.lit(PARTS))).alias("part"))
     rows.repartition(PARTS, "part").sortWithinPartitions("part").drop("part").write.parquet(folder)
-    top = streams.TopItems(_folder(spark), SPEC, 20, spare=8)
+    top = streams.TopItems(_folder(spark), SPEC, 20)
     streams.each_batch(spark.readStream.schema("item long, c long").option("maxFilesPerTrigger", 1).parquet(folder), top.absorb, _folder(spark))
     return top.items(spark)
 

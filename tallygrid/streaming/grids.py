@@ -88,6 +88,13 @@ def batch_numbers(spark: SparkSession, path: str) -> list[int]:
     return sorted(int(p.getName()[6:]) for p in done if fs.exists(jvm.org.apache.hadoop.fs.Path(p, "_SUCCESS")))
 
 
+def file_sets(spark: SparkSession, path: str, before: int | float = float("inf")) -> list[str]:
+    """The file sets below `path` that hold every batch once: the last one merged at a batch earlier than `before`, and the batches after it."""
+    merged = [b for b in batch_numbers(spark, f"{path}/merged") if b < before]
+    last = merged[-1] if merged else -1
+    return [f"{path}/merged/batch={last}"] * bool(merged) + [f"{path}/batches/batch={b}" for b in batch_numbers(spark, f"{path}/batches") if b > last]
+
+
 class BatchGrids:
     """Grids of micro-batches in a shared folder, one file set for each batch id: a batch that runs twice counts once.
 
@@ -104,16 +111,13 @@ class BatchGrids:
         spread = batch.select(*self.keys, F.explode(cells_of(F.col("item"), self.spec)).alias("x"), "c")
         spread.groupBy(*self.keys, "x.rep", "x.idx").agg(F.sum("c").alias("v")).write.mode("overwrite").parquet(f"{self.path}/batches/batch={batch_id}")
         if (batch_id + 1) % self.compact == 0:
-            self.merged(spark).write.mode("overwrite").parquet(f"{self.path}/merged/batch={batch_id}")
+            self.merged(spark, batch_id).write.mode("overwrite").parquet(f"{self.path}/merged/batch={batch_id}")
 
-    def sets(self, spark: SparkSession) -> list[str]:
-        """The file sets that hold every batch once: the last merged one, and the batches after it."""
-        merged = batch_numbers(spark, f"{self.path}/merged")
-        last = merged[-1] if merged else -1
-        return [f"{self.path}/merged/batch={last}"] * bool(merged) + [f"{self.path}/batches/batch={b}" for b in batch_numbers(spark, f"{self.path}/batches") if b > last]
+    def sets(self, spark: SparkSession, before: int | float = float("inf")) -> list[str]:
+        return file_sets(spark, self.path, before)
 
-    def merged(self, spark: SparkSession) -> DataFrame:
-        found = self.sets(spark)
+    def merged(self, spark: SparkSession, before: int | float = float("inf")) -> DataFrame:
+        found = self.sets(spark, before)
         if not found:
             return spark.createDataFrame([], "rep int, idx long, v long")
         return spark.read.parquet(*found).groupBy(*self.keys, "rep", "idx").agg(F.sum("v").alias("v"))
@@ -140,33 +144,32 @@ class ConservativeGrid:
 
 
 class TopItems:
-    """The `most` items with the largest estimates: after each batch, the old ones and the batch's items are ranked by the grid of all batches.
+    """The `most` items with the largest estimates on the grid of all batches, out of all items that came.
 
-    An item is ranked when it comes, so of items that fell behind and came no more, those whose estimates stand above a later `most`-th are missed;
-    `spare` times as many are kept as are answered, which makes room for them.
+    Later batches raise the cells of items that come no more, so none can be left out before the end: the distinct items of each batch are files, merged every `compact` batches
+    as grids are, and ranked when asked.
     """
 
-    def __init__(self, folder: str, spec: GridSpec, most: int, name: str | None = None, spare: int = 4):
+    def __init__(self, folder: str, spec: GridSpec, most: int, name: str | None = None, compact: int = 16):
         name = name or uuid.uuid4().hex
-        self.grids, self.most, self.spare, self.path = BatchGrids(folder, spec, name=name), most, spare, f"{folder}/top_{name}"
+        self.grids, self.most, self.compact, self.path = BatchGrids(folder, spec, name=name, compact=compact), most, compact, f"{folder}/top_{name}"
 
     def absorb(self, batch: DataFrame, batch_id: int) -> None:
         spark = batch.sparkSession
         self.grids.absorb(batch, batch_id)
-        items = batch.select("item").distinct()
-        done = [b for b in batch_numbers(spark, self.path) if b < batch_id]
-        if done:
-            items = items.union(spark.read.parquet(f"{self.path}/batch={done[-1]}").select("item")).distinct()
-        self._ranked(items, spark).limit(self.most * self.spare).write.mode("overwrite").parquet(f"{self.path}/batch={batch_id}")
+        batch.select("item").where("item IS NOT NULL").distinct().write.mode("overwrite").parquet(f"{self.path}/batches/batch={batch_id}")
+        if (batch_id + 1) % self.compact == 0:
+            self._seen(spark, batch_id).write.mode("overwrite").parquet(f"{self.path}/merged/batch={batch_id}")
 
-    def _ranked(self, items: DataFrame, spark: SparkSession) -> DataFrame:
-        return probe(items, self.grids.grid(spark)).select("item", F.array_min("v").alias("est")).orderBy(F.desc("est"), "item")
+    def _seen(self, spark: SparkSession, before: int | float = float("inf")) -> DataFrame | None:
+        found = file_sets(spark, self.path, before)
+        return spark.read.parquet(*found).select("item").distinct() if found else None
 
     def items(self, spark: SparkSession) -> DataFrame:
-        done = batch_numbers(spark, self.path)
-        if not done:
+        seen = self._seen(spark)
+        if seen is None:
             return spark.createDataFrame([], "item long, est long")
-        return self._ranked(spark.read.parquet(f"{self.path}/batch={done[-1]}").select("item"), spark).limit(self.most)
+        return probe(seen, self.grids.grid(spark)).select("item", F.array_min("v").alias("est")).orderBy(F.desc("est"), "item").limit(self.most)
 
 
 class AutoEstimator:

@@ -42,7 +42,7 @@ def test_regression_helps_in_a_small_grid_only():
 
 
 def test_errors_grow_as_told(spark):
-    rows = sorted((r["load"], r["min"], r["conservative"], r["mle_debiased"]) for r in experiments.growth_study(spark, "").collect())
+    rows = sorted((r["load"], r["min"], r["conservative"], r["mle_debiased"]) for r in experiments.growth_study(spark, "/root/testdata/sf0.01").collect())
     low, high = rows[0], rows[-1]  # sixteen times the load
     assert high[1] / low[1] > 8 and high[2] / low[2] > 6 and high[3] / low[3] < 0.75 * high[1] / low[1]
     assert all(r[2] <= r[1] for r in rows)
